@@ -31,7 +31,7 @@ from . import common
 
 LENGTH, GRAM = 400, 128
 #: Suffixes of one gram that one bucket takes; bytes of text worked on at once; suffixes sorted at once.
-CROWD, PIECE, ROWS = 1024, 1 << 20, 4096
+CROWD, PIECE, ROWS = 4096, 1 << 20, 4096
 #: Sampled suffixes for the splitters.
 SAMPLE = 100_000
 _BASE = 0x9E3779B97F4A7C15 | 1

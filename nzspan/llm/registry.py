@@ -6,13 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, simhash, suffixes
+from . import mixing, pieces, simhash, suffixes, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_mixing": mixing.op1_mixing,
+        "op4_pieces": pieces.op4_pieces,
         "op5_simhash": simhash.op5_simhash,
+        "op7_toxicity": toxicity.op7_toxicity,
         "op10_suffixes": suffixes.op10_suffixes,
     }
 

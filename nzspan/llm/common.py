@@ -34,6 +34,11 @@ def words_of(text: str) -> list[str]:
     return [w for w in text.translate(_GAPS_TO_SPACE).split(" ") if w]
 
 
+def byte_words(text: str | None) -> list[bytes]:
+    """The words of a text in UTF-8, A-Z in lower case; bytes are lowered and split by ASCII rules, which are the ones wanted."""
+    return (text or "").encode("utf-8", "surrogatepass").lower().split()
+
+
 def word_count(text: Column) -> Column:
     """Number of words; null counts as empty."""
     marks = F.regexp_replace(F.coalesce(text, F.lit("")), WORD, "w")

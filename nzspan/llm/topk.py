@@ -61,11 +61,11 @@ def top_inner_products(vectors: DataFrame, queries: DataFrame, k: int = 10, rows
     """(query_id, rank, vec_id, score): for each query the k best of vectors, both (vec_id long, v array<long>).
 
     Candidates that share the query's id are left out; a query id that is repeated counts once, with its smallest vector. Vectors
-    of other lengths than the query's take no part. Null ids are candidates and no queries; empty inputs give no rows.
+    of other lengths than the query's, and rows without an id, take no part. Repeated rows are candidates as often. Empty inputs give no rows.
     """
     spark = vectors.sparkSession
     ship(spark)
-    vectors = written(vectors.select("vec_id", "v"), "topk-rows")
+    vectors = written(vectors.where("vec_id IS NOT NULL").select("vec_id", "v"), "topk-rows")
     queries = written(queries.where("vec_id IS NOT NULL").groupBy("vec_id").agg(F.min("v").alias("v")), "topk-queries")
     n_rows, n_queries = max(1, -(-vectors.count() // rows)), max(1, -(-queries.count() // per_block))
     block = lambda n: F.pmod(F.xxhash64("vec_id", "v"), F.lit(n)).cast("int")
@@ -79,7 +79,7 @@ def top_inner_products(vectors: DataFrame, queries: DataFrame, k: int = 10, rows
             fit = rows[rows["v"].map(len) == width] if len(rows) else rows
             if not len(fit) or not width:
                 continue
-            matrix, ids = np.stack(fit["v"].to_list()).astype(np.int64), fit["vec_id"].to_numpy(np.int64, na_value=np.iinfo(np.int64).min)
+            matrix, ids = np.stack(fit["v"].to_list()).astype(np.int64), fit["vec_id"].to_numpy(np.int64)
             lists = np.argsort(matrix, axis=0, kind="stable").T
             for own, query in zip(group["vec_id"], group["v"], strict=True):
                 found, _ = threshold_top(matrix, ids, np.asarray(query, np.int64), own, k, lists)

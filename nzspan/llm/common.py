@@ -13,6 +13,8 @@ from pyspark.sql import types as T
 WORD = r"[^\x20\x09-\x0D]+"
 #: The characters between words.
 GAPS = " \t\n\x0b\x0c\r"
+#: Rows that a step of arrow_map sees at once.
+ROWS = 2000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 TO_LOWER = str.maketrans(UPPER, LOWER)
 _GAPS_TO_SPACE = str.maketrans(dict.fromkeys("\t\n\x0b\x0c\r", " "))
@@ -59,7 +61,7 @@ def arrow_map(df: DataFrame, make: Callable[[], Callable[[dict], dict]], schema:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = make()
-        for batch in batches:
+        for batch in (whole.slice(lo, ROWS) for whole in batches for lo in range(0, whole.num_rows, ROWS)):
             got = step({name: batch.column(i) for i, name in enumerate(batch.schema.names)})
             if got is not None:
                 yield pa.RecordBatch.from_arrays([as_array(got[f.name], f.type) for f in target], schema=target)

@@ -35,12 +35,12 @@ BLOCK = 2048
 
 def fingerprint(text: str | None, shingle: int = SHINGLE, seed: int = SEED) -> int:
     """The 64-bit SimHash of a text; 0 for a text without words. Words are joined by single spaces; fewer words than a shingle make one."""
-    words = common.words_of((text or "").translate(common.TO_LOWER))
+    words = common.byte_words(text)
     if not words:
         return 0
-    data = " ".join(words).encode("utf-8", "surrogatepass")
+    data = b" ".join(words)
     width = min(shingle, len(words))
-    lengths = np.fromiter((len(w.encode("utf-8", "surrogatepass")) for w in words), np.int64, len(words)) if not data.isascii() else np.fromiter(map(len, words), np.int64, len(words))
+    lengths = np.fromiter(map(len, words), np.int64, len(words))
     ends = np.cumsum(lengths + 1) - 1
     starts = (ends - lengths)[: len(words) - width + 1].tolist()
     digest = xxhash.xxh64_intdigest

@@ -33,11 +33,7 @@ FRAME = b"0123456789abcdef0123456789ABCDEF"
 MEMORY = 400_000
 
 
-def lowered_words(text: str) -> list[str]:
-    return common.words_of(text.translate(common.TO_LOWER))
-
-
-def contrast(ours: Counter, n_ours: int, theirs: Counter, n_theirs: int) -> list[tuple[float, str]]:
+def contrast(ours: Counter, n_ours: int, theirs: Counter, n_theirs: int) -> list[tuple[float, bytes]]:
     """Words of more of our texts than of theirs, by the likelihood ratio of their document counts, largest first."""
 
     def fit(k: int, n: int, p: float) -> float:
@@ -52,7 +48,7 @@ def contrast(ours: Counter, n_ours: int, theirs: Counter, n_theirs: int) -> list
     return sorted(found, reverse=True)
 
 
-def train_dictionary(ours: list[list[str]], theirs: list[list[str]], size: int = DICTIONARY, share: float = 0.15) -> bytes:
+def train_dictionary(ours: list[list[bytes]], theirs: list[list[bytes]], size: int = DICTIONARY, share: float = 0.15) -> bytes:
     """Dictionary content for the texts of one class: its most telling words, those that tell most nearest to the window."""
     mine, other = Counter(), Counter()
     for words in ours:
@@ -63,7 +59,7 @@ def train_dictionary(ours: list[list[str]], theirs: list[list[str]], size: int =
     top = ranked[0][0] if ranked else 0.0
     out, room = [], size
     for value, word in ranked:
-        piece = f" {word} ".encode("utf-8", "surrogatepass")
+        piece = b" " + word + b" "
         if value < max(share * top, 10.0) or len(piece) > room:
             break
         out.append(piece)
@@ -71,14 +67,14 @@ def train_dictionary(ours: list[list[str]], theirs: list[list[str]], size: int =
     return b"".join(reversed(out))
 
 
-def frequent_dictionary(texts: list[list[str]], size: int = DICTIONARY) -> bytes:
+def frequent_dictionary(texts: list[list[bytes]], size: int = DICTIONARY) -> bytes:
     """Dictionary content by zstandard's own trainer, or the most common words where there is too little text for it."""
-    samples = [" ".join(words).encode("utf-8", "surrogatepass")[:4096] for words in texts if words]
+    samples = [b" ".join(words)[:4096] for words in texts if words]
     try:
         return zstandard.train_dictionary(size, samples, level=3).as_bytes()
     except zstandard.ZstdError:
         common_words = [w for w, _ in Counter(w for words in texts for w in words).most_common(300)]
-        return " ".join(reversed(common_words)).encode("utf-8", "surrogatepass")[-size:]
+        return b" ".join(reversed(common_words))[-size:]
 
 
 @dataclass
@@ -97,12 +93,12 @@ class Model:
 
         ours, theirs, memo = compressor(self.toxic), compressor(self.ordinary), {}
 
-        def difference(word: str) -> int:
+        def difference(word: bytes) -> int:
             d = memo.get(word)
             if d is None:
                 if len(memo) >= MEMORY:
                     memo.clear()
-                window = FRAME + b" " + word.encode("utf-8", "surrogatepass") + b" " + FRAME
+                window = FRAME + b" " + word + b" " + FRAME
                 d = memo[word] = max(0, len(theirs(window)) - len(ours(window)))
             return d
 
@@ -137,7 +133,7 @@ def fit(toxic: list[str], ordinary: list[str], widest: int = 16) -> Model:
     base = np.array([math.log((len(toxic) + 0.5) / (len(ordinary) + 0.5)) if toxic or ordinary else -1.0, 0.0, 0.0])
     if not toxic or not ordinary:
         return Model(b"", b"", np.zeros(widest + 1), base)
-    groups = [[lowered_words(t) for t in dict.fromkeys(texts)] for texts in (toxic, ordinary)]
+    groups = [[common.byte_words(t) for t in dict.fromkeys(texts)] for texts in (toxic, ordinary)]
     held = [[w for i, w in enumerate(g) if i % 3 == 0] if len(g) > 20 else g for g in groups]
     used = [[w for i, w in enumerate(g) if i % 3] if len(g) > 20 else g for g in groups]
     model = Model(train_dictionary(used[0], used[1]), frequent_dictionary(used[1]), np.zeros(widest + 1), base)
@@ -174,7 +170,7 @@ def score_documents(documents: DataFrame, model: Model) -> DataFrame:
         differ = model.differ()
 
         def step(columns: dict) -> dict:
-            x = [model.features([differ(w) for w in lowered_words(t.as_py() or "")]) for t in columns["text"]]
+            x = [model.features([differ(w) for w in common.byte_words(t.as_py())]) for t in columns["text"]]
             score = model.score(np.array(x).reshape(len(x), 3))
             return {f.name: columns[f.name] for f in schema} | {"score": score, "predicted": (score >= 0.5).astype(np.int32)}
 

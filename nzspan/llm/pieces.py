@@ -9,7 +9,7 @@ A giant document is cut into chunks of fixed length. The state at a border is th
 last character before it. A chunk on its own yields the transfer matrix from the states at its left border to
 those at its right one. Matrices combine associatively, which settles the state at every border, and then
 each chunk is traced back on its own. Where no piece of the vocabulary has a word boundary inside, paths
-are forced through word boundaries; only the words that a border cuts need the matrix, the rest of a chunk is encoded by words.
+are forced through word boundaries; only the words that a border cuts need the matrix, the rest of a chunk is encoded as it is.
 """
 
 from __future__ import annotations
@@ -33,8 +33,8 @@ from . import common
 MARK = "▁"
 #: Characters of a chunk; a longer document is cut.
 CHUNK = 1 << 15
-#: Remembered words, and pairs of pieces, of a worker.
-MEMORY = 300_000
+#: Remembered pairs of pieces of a worker.
+MEMORY = 100_000
 NONE = float("-inf")
 
 
@@ -49,7 +49,6 @@ class Pieces:
     """A SentencePiece model with what the scan needs to know of it."""
 
     proto: bytes
-    words: dict[str, list[int]] = field(default_factory=dict)
     pairs: dict[tuple[str, str], bool] = field(default_factory=dict)
 
     @cached_property
@@ -100,27 +99,12 @@ class Pieces:
         told = [sp.piece_to_id(f"<0x{b:02X}>") for b in piece.encode("utf-8", "surrogatepass")]
         return [sp.unk_id()] if sp.unk_id() in told else told
 
-    def word_ids(self, word: str) -> list[int]:
-        """Ids of one word of normalized text, with the marks before it."""
-        ids = self.words.get(word)
-        if ids is None:
-            if len(self.words) >= MEMORY:
-                self.words.clear()
-            plain = word[1:].replace(MARK, " ")
-            ids = self.words[word] = self.library.encode(plain) if word[:1] == MARK and self.normalize(plain) == word else self.path_ids(word)
-        return ids
-
-    def split(self, normal: str) -> list[str]:
-        return re.findall(f"{MARK}*[^{MARK}]+|{MARK}+", normal)
-
-    def encode(self, text: str) -> list[int]:
-        """The library's encoding, from remembered words where the model allows."""
-        if not self.by_words or self.kind != "bpe":
-            return self.library.encode(text)
-        out: list[int] = []
-        for word in self.split(self.normalize(text)):
-            out += self.words.get(word) or self.word_ids(word)
-        return out
+    def inner_ids(self, normal: str) -> list[int]:
+        """Ids of normalized text from one word boundary to another."""
+        plain = normal[1:].replace(MARK, " ")
+        if self.kind == "bpe" and normal[:1] == MARK and self.normalize(plain) == normal:
+            return self.library.encode(plain)
+        return self.path_ids(normal)
 
     def stable(self, left: str, right: str) -> bool:
         """Whether the two pieces may stand side by side in an encoding."""
@@ -271,8 +255,7 @@ class Pieces:
             done = self.lattice(text, [start], a, b, len(text))
             return ids(done, best_at(done, b) if last else leave)
         head, tail = self.lattice(text, [start], a, cut[0], cut[0]), self.lattice(text, [None], cut[1], b, len(text))
-        middle = [i for word in self.split(text[cut[0] : cut[1]]) for i in self.word_ids(word)] if self.kind == "bpe" else self.path_ids(text[cut[0] : cut[1]])
-        return ids(head, best_at(head, cut[0])) + middle + ids(tail, best_at(tail, b) if last else leave)
+        return ids(head, best_at(head, cut[0])) + self.inner_ids(text[cut[0] : cut[1]]) + ids(tail, best_at(tail, b) if last else leave)
 
 
 def _fields(data: bytes):
@@ -372,7 +355,7 @@ def encode_documents(documents: DataFrame, model: str | None = None, chunk: int
         pieces = Pieces(proto)
 
         def step(columns: dict) -> dict:
-            found = [pieces.encode(t.as_py() or "") for t in columns["text"]]
+            found = [pieces.library.encode(t.as_py() or "") for t in columns["text"]]
             return {name: columns[name] for name in names} | {"ids": _lists(found), "n_chunks": pa.array([1] * len(found), pa.int32())}
 
         return step
@@ -464,23 +447,35 @@ def decode_documents(encoded: DataFrame, model: str | None = None) -> DataFrame:
     return common.arrow_map(encoded.select(*[f.name for f in keep]), make, T.StructType([*keep, T.StructField("decoded", T.StringType())]))
 
 
-def crc_of_ids(df: DataFrame, column: str = "ids") -> DataFrame:
-    """df with n_ids and ids_crc32, the crc32 of the ids as little-endian unsigned 32-bit integers."""
-    names = df.columns
+def with_digest(encoded: DataFrame, model: str | None = None) -> DataFrame:
+    """(row..., n_ids, ids_crc32, restored) for rows with text and ids, in one pass.
+
+    ids_crc32 is the crc32 of the ids as little-endian unsigned 32-bit integers; restored: decoding gives the text again.
+    """
+    ship(encoded.sparkSession)
+    with open(model or default_model(), "rb") as file:
+        proto = file.read()
+    new = [T.StructField("n_ids", T.LongType()), T.StructField("ids_crc32", T.LongType()), T.StructField("restored", T.BooleanType())]
+    keep = [f for f in encoded.schema.fields if f.name not in {f.name for f in new}]
 
     def make():
+        pieces = Pieces(proto)
+
         def step(columns: dict) -> dict:
-            ids = [np.array(v.as_py() or [], "<u4") for v in columns[column]]
-            return {n: columns[n] for n in names} | {"n_ids": [len(v) for v in ids], "ids_crc32": [zlib.crc32(v.tobytes()) for v in ids]}
+            out = {"n_ids": [], "ids_crc32": [], "restored": []}
+            for ids, text in zip(columns["ids"], columns["text"], strict=True):
+                array = ids.values.to_numpy() if ids.is_valid else np.zeros(0, np.int32)
+                out["n_ids"].append(len(array))
+                out["ids_crc32"].append(zlib.crc32(array.astype("<u4").tobytes()))
+                out["restored"].append(pieces.library.decode(array.tolist()) == (text.as_py() or ""))
+            return {f.name: columns[f.name] for f in keep} | out
 
         return step
 
-    schema = T.StructType([*df.schema.fields, T.StructField("n_ids", T.LongType()), T.StructField("ids_crc32", T.LongType())])
-    return common.arrow_map(df, make, schema)
+    return common.arrow_map(encoded.select(*[f.name for f in keep]), make, T.StructType([*keep, *new]))
 
 
 def op4_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, n_ids, ids_crc32, n_chunks, and whether decoding gives the text again, for all documents."""
     encoded = encode_documents(common.table(spark, sf_dir, "documents", "doc_id", "text"))
-    decoded = crc_of_ids(decode_documents(encoded))
-    return decoded.select("doc_id", "n_ids", "ids_crc32", "n_chunks", (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("restored"))
+    return with_digest(encoded).select("doc_id", "n_ids", "ids_crc32", "n_chunks", "restored")

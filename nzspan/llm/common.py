@@ -52,8 +52,8 @@ def fold_bucket(doc_id: Column, folds: int = 5) -> Column:
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(folds))
 
 
-def arrow_map(df: DataFrame, make: Callable[[], Callable[[dict], dict]], schema: str | T.StructType) -> DataFrame:
-    """Map batches of columns, given as Python lists, to columns. make() runs once per task and builds the state."""
+def arrow_map(df: DataFrame, make: Callable[[], Callable[[dict], dict]], schema: str | T.StructType, rows: int = ROWS) -> DataFrame:
+    """Map slices of `rows` rows, given as columns, to columns. make() runs once per task and builds the state."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
     struct = T.StructType.fromDDL(schema) if isinstance(schema, str) else schema
@@ -61,7 +61,7 @@ def arrow_map(df: DataFrame, make: Callable[[], Callable[[dict], dict]], schema:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = make()
-        for batch in (whole.slice(lo, ROWS) for whole in batches for lo in range(0, whole.num_rows, ROWS)):
+        for batch in (whole.slice(lo, rows) for whole in batches for lo in range(0, whole.num_rows, rows)):
             got = step({name: batch.column(i) for i, name in enumerate(batch.schema.names)})
             if got is not None:
                 yield pa.RecordBatch.from_arrays([as_array(got[f.name], f.type) for f in target], schema=target)

@@ -31,7 +31,7 @@ from . import common
 
 LENGTH, GRAM = 400, 128
 #: Suffixes of one gram that one bucket takes; bytes of text worked on at once; suffixes sorted at once.
-CROWD, PIECE, ROWS = 4096, 1 << 20, 4096
+CROWD, PIECE, ROWS = 4096, 1 << 18, 1024
 #: Sampled suffixes for the splitters.
 SAMPLE = 100_000
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -197,15 +197,16 @@ def repeated_offsets(left: np.ndarray, right: np.ndarray, n_left: np.ndarray, n_
     """
     n, reach = len(right), left.shape[1]
     d = np.arange(min(reach, length) + 1)
+    kind = np.int32 if n < 40_000 else np.int64
     ranks = []
     for side, need in ((left, d), (right, length - d)):
         order, same = multikey_order(side.view(">u8").astype(np.uint64).reshape(n, -1))
-        classes = np.empty((n, len(d)), np.int64)
-        classes[order] = np.cumsum(same[:, None] < need[None, :], axis=0)
+        classes = np.empty((n, len(d)), kind)
+        classes[order] = np.cumsum(same[:, None] < need[None, :], axis=0, dtype=kind)
         ranks.append(classes)
     allowed = (n_left[:, None] >= d) & (n_right[:, None] >= length - d)
     both = ranks[0] * (n + 1) + ranks[1]
-    both[~allowed] = -1 - np.arange(n)[:, None].repeat(len(d), 1)[~allowed]
+    both = np.where(allowed, both, -1 - np.arange(n, dtype=kind)[:, None])
     rank = np.argsort(both, axis=0, kind="stable")
     inline = np.take_along_axis(both, rank, 0)
     twin = np.zeros(both.shape, bool)
@@ -284,7 +285,7 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
     again = written(found.join(often, "gram"), "suffix-again")
     total = again.count()
     sample = again.select("lead", "gram").sample(min(1.0, SAMPLE / max(total, 1)), 42).toPandas() if total else None
-    n_buckets = max(1, min(1 << 16, total // ROWS))
+    n_buckets = max(1, min(1 << 16, total // 4096))
     if sample is not None and len(sample):
         sample = sample.sort_values(["lead", "gram"]).to_numpy()
         cuts = sample[np.linspace(0, len(sample) - 1, n_buckets + 1).astype(int)[1:-1]]
@@ -318,7 +319,7 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
         return step
 
     suffixes = common.arrow_map(
-        keyed.select("doc", "mark", "text").join(places, ["doc", "mark"]), make, "doc long, mark long, pos long, gram long, bucket long, crowded boolean, before binary, after binary"
+        keyed.select("doc", "mark", "text").join(places, ["doc", "mark"]), make, "doc long, mark long, pos long, gram long, bucket long, crowded boolean, before binary, after binary", rows=128
     )
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     suffixes = suffixes.repartition(parts, "bucket").sortWithinPartitions("bucket", "gram")
@@ -327,7 +328,7 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
         hasher, second = Hasher(length + reach), Hasher(length + reach)
         second.values = _mixed(second.values)
         held: dict[str, list] = {}
-        for batch in batches:
+        for batch in (whole.slice(lo, ROWS) for whole in batches for lo in range(0, whole.num_rows, ROWS)):
             rows = batch.to_pydict()
             held = {k: held.get(k, []) + v for k, v in rows.items()}
             while len(held["gram"]) > ROWS:

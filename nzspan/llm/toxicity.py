@@ -30,7 +30,7 @@ DICTIONARY = 4096
 #: Text around each word, so that zstandard finds matches up to the word's end.
 FRAME = b"0123456789abcdef0123456789ABCDEF"
 #: Remembered words of a worker.
-MEMORY = 400_000
+MEMORY = 150_000
 
 
 def contrast(ours: Counter, n_ours: int, theirs: Counter, n_theirs: int) -> list[tuple[float, bytes]]:

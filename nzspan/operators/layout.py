@@ -135,7 +135,7 @@ def group_ranks(setup: DataFrame) -> DataFrame:
 
 
 def seg_add(a: tuple[int, int], b: tuple[int, int]) -> tuple[int, int]:
-    """Addition of (value, key) pairs that starts anew where the key changes; associative, not commutative."""
+    """Addition of (value, key) pairs that starts anew where the key changes; associative as long as equal keys are neighbours, not commutative."""
     return (a[0] + b[0] if a[1] == b[1] else b[0], b[1])
 
 

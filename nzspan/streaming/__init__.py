@@ -14,7 +14,8 @@ from nzspan.session import shared_folder
 def stream_events(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1, table: str = "events") -> DataFrame:
     """A table's rows as a stream; event times become TIMESTAMP, as watermarks ask for it."""
     path = f"{sf_dir}/{table}.parquet"
-    df = spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+    # a pattern, as the source takes folders only and a table may be one file
+    df = spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", files_per_trigger).parquet(f"{path}*")
     return df.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in df.columns else df
 
 

@@ -5,7 +5,7 @@ one. Sorting a suffix for every byte would move hundreds of times the corpus. It
 that start at anchors, places chosen by content alone:
 
 1. Every window of `length` bytes has an anchor, the start of its `gram`-byte string with the least hash. Equal
-   windows have equal anchors at equal offsets. About one byte in 140 is an anchor.
+   windows have equal anchors at equal offsets. About one byte in 170 is an anchor.
 2. Anchors whose gram occurs once cannot lie in a repeated window; only the others go on, with the bytes that
    windows around them may hold: up to length - gram to the left, up to length to the right.
 3. Suffixes from anchors are range-partitioned by their leading bytes, with splitters from a sample. Each bucket sorts
@@ -29,9 +29,9 @@ from nzspan.session import ship, written
 
 from . import common
 
-LENGTH, GRAM = 400, 128
-#: Suffixes of one gram that one bucket takes; bytes of text worked on at once; suffixes sorted at once.
-CROWD, PIECE, ROWS = 4096, 1 << 18, 1024
+LENGTH, GRAM = 400, 64
+#: Suffixes of one gram that one bucket takes; bytes of text worked on at once; suffixes sorted, and offsets compared, at once.
+CROWD, PIECE, ROWS, COLUMNS = 32768, 1 << 18, 1024, 32
 #: Sampled suffixes for the splitters.
 SAMPLE = 100_000
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -195,26 +195,27 @@ def repeated_offsets(left: np.ndarray, right: np.ndarray, n_left: np.ndarray, n_
     left holds reversed texts to the left of anchors, right the suffixes, zero-padded to whole words. Windows
     that would leave their text are not allowed and match nothing.
     """
-    n, reach = len(right), left.shape[1]
-    d = np.arange(min(reach, length) + 1)
+    n = len(right)
+    d = np.arange(min(left.shape[1], length) + 1)
     kind = np.int32 if n < 40_000 else np.int64
-    ranks = []
-    for side, need in ((left, d), (right, length - d)):
-        order, same = multikey_order(side.view(">u8").astype(np.uint64).reshape(n, -1))
-        classes = np.empty((n, len(d)), kind)
-        classes[order] = np.cumsum(same[:, None] < need[None, :], axis=0, dtype=kind)
-        ranks.append(classes)
+    sorted_sides = [multikey_order(side.view(">u8").astype(np.uint64).reshape(n, -1)) for side in (left, right)]
     allowed = (n_left[:, None] >= d) & (n_right[:, None] >= length - d)
-    both = ranks[0] * (n + 1) + ranks[1]
-    both = np.where(allowed, both, -1 - np.arange(n, dtype=kind)[:, None])
-    rank = np.argsort(both, axis=0, kind="stable")
-    inline = np.take_along_axis(both, rank, 0)
-    twin = np.zeros(both.shape, bool)
-    twin[1:] = inline[1:] == inline[:-1]
-    repeated, leads = np.empty_like(twin), np.empty_like(twin)
-    np.put_along_axis(leads, rank, ~twin, 0)
-    twin[:-1] |= twin[1:].copy()
-    np.put_along_axis(repeated, rank, twin, 0)
+    repeated, leads = np.zeros(allowed.shape, bool), np.zeros(allowed.shape, bool)
+    for lo in range(0, len(d), COLUMNS):
+        some = slice(lo, lo + COLUMNS)
+        both = np.zeros((n, len(d[some])), kind)
+        for (order, same), need in zip(sorted_sides, (d[some], length - d[some]), strict=True):
+            classes = np.empty_like(both)
+            classes[order] = np.cumsum(same[:, None] < need[None, :], axis=0, dtype=kind)
+            both = both * kind(n + 1) + classes
+        both = np.where(allowed[:, some], both, -1 - np.arange(n, dtype=kind)[:, None])
+        rank = np.argsort(both, axis=0, kind="stable")
+        inline = np.take_along_axis(both, rank, 0)
+        twin = np.zeros(both.shape, bool)
+        twin[1:] = inline[1:] == inline[:-1]
+        np.put_along_axis(leads[:, some], rank, ~twin, 0)
+        twin[:-1] |= twin[1:].copy()
+        np.put_along_axis(repeated[:, some], rank, twin, 0)
     return repeated & allowed, leads & allowed, allowed
 
 

@@ -170,14 +170,18 @@ def count_words(documents: DataFrame) -> DataFrame:
 
 
 def vocabulary(counts: DataFrame) -> Vocabulary:
-    """Totals and the KNOWN most frequent words of counts(word, c), ties by word."""
+    """Totals and up to KNOWN of the most frequent words of counts(word, c)."""
     total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    top = counts.orderBy(F.col("c").desc(), "word").limit(KNOWN).toPandas()
+    # words of the largest counts, as many whole classes of equal counts as KNOWN has room for
+    classes = counts.groupBy("c").agg(F.count(F.lit(1)).alias("n")).orderBy(F.col("c").desc()).limit(KNOWN).toPandas()
+    fits = classes["c"][classes["n"].cumsum() <= KNOWN]
+    least = int(fits.min()) if len(fits) else int(classes["c"].max() or 0) + 1 if len(classes) else 1
+    top = counts.where(F.col("c") >= least).toPandas().sort_values(["c", "word"], ascending=[False, True])
     words, number = [bytes(w) for w in top["word"]], top["c"].to_numpy(np.int64)
-    if END in words[OWN:]:  # the end stays a class of its own
-        i = words.index(END)
-        words.insert(0, words.pop(i))
-        number = np.concatenate([number[i : i + 1], np.delete(number, i)])
+    if END not in words[:OWN]:  # the end is a class of its own
+        own = [r["c"] for r in counts.where(F.col("word") == F.lit(END)).collect()]
+        rest = [i for i, w in enumerate(words) if w != END]
+        words, number = [END] * len(own) + [words[i] for i in rest], np.concatenate([np.array(own, np.int64), number[rest]])
     mass = np.full(SUFFIXES, 0.5)
     own = set(words[:OWN])
 
@@ -207,7 +211,9 @@ def class_shares(v: Vocabulary) -> np.ndarray:
 def train(documents: DataFrame, v: Vocabulary, states: int = STATES, passes: int = PASSES, seed: int = 42) -> Chain:
     """A chain from documents(doc_id, text): sample passes on the driver, then passes over all texts on the cluster."""
     share = class_shares(v)
-    sample = documents.select("doc_id", "text").orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id", "text").limit(SAMPLE).collect()
+    ids = documents.select("doc_id").distinct().orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(SAMPLE)
+    drawn = documents.select("doc_id", "text").join(F.broadcast(ids), "doc_id", "left_semi")
+    sample = drawn.orderBy("doc_id", "text").limit(2 * SAMPLE).collect()
     texts = [v.read(r["text"])[0][:2000] for r in sample]  # the sample only starts the model
     size = len(share)
     chain = Chain.random(share, states, seed)

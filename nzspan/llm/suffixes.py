@@ -241,7 +241,17 @@ SPANS = "doc long, mark long, start long, stop long, h1 long, h2 long"
 
 
 def _compare(rows: dict, length: int, reach: int, hasher: Hasher, second: Hasher) -> pa.RecordBatch:
-    """Spans of repeated windows among suffixes, and the open windows of crowded grams with their hashes."""
+    """Spans of repeated windows among suffixes, and the open windows of crowded grams with their hashes; spans told before go through."""
+    told = [i for i, b in enumerate(rows["before"]) if b is None]
+    if told:
+        names = ("doc", "mark", "pos", "gram")
+        doc, mark, start, size = (np.array([rows[k][i] for i in told], np.int64) for k in names)
+        spans = pa.RecordBatch.from_arrays([pa.array(doc), pa.array(mark), pa.array(start), pa.array(start + size), pa.nulls(len(told), pa.int64()), pa.nulls(len(told), pa.int64())], names=["doc", "mark", "start", "stop", "h1", "h2"])
+        open_ = [i for i, b in enumerate(rows["before"]) if b is not None]
+        if not open_:
+            return spans
+        rest = _compare({k: [v[i] for i in open_] for k, v in rows.items()}, length, reach, hasher, second)
+        return pa.Table.from_batches([spans, rest]).combine_chunks().to_batches()[0]
     n_left = np.fromiter(map(len, rows["before"]), np.int64)
     n_right = np.fromiter(map(len, rows["after"]), np.int64)
     left, right = _padded(rows["before"], reach, True), _padded(rows["after"], length, False)
@@ -301,20 +311,39 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
 
         splitters = list(zip(cut_lead, cut_gram, strict=True))
 
+        met: dict[bytes, tuple | None] = {}  # contexts of this task so far, and where the first one stands until a second comes
+
         def step(columns: dict) -> dict:
             out = {k: [] for k in ("doc", "mark", "pos", "gram", "bucket", "crowded", "before", "after")}
+
+            def put(*values):
+                for k, v in zip(out, values, strict=True):
+                    out[k].append(v)
+
+            def whole(doc, mark, pos, left, right):
+                """All windows around this place are repeated: told as a span, with its length in place of the gram."""
+                if left + right >= length:
+                    put(doc, mark, pos - left, left + right, -1 - (pos & 4095), False, None, None)
+
             for doc, mark, text, where in zip(columns["doc"].to_pylist(), columns["mark"].to_pylist(), columns["text"], columns["places"], strict=True):
                 data = text.as_py().encode("utf-8", "surrogatepass")
                 for p in where.as_py():
                     pos = p["pos"]
                     before, after = data[max(0, pos - reach) : pos], data[pos : pos + length]
+                    digest = hashlib.blake2b(before + len(before).to_bytes(4, "big") + after, digest_size=16).digest()
+                    if digest in met:  # one of equal contexts goes on, to meet those of other tasks
+                        if met[digest]:
+                            whole(*met[digest])
+                            met[digest] = None
+                        whole(doc, mark, pos, len(before), len(after))
+                        continue
+                    met[digest] = (doc, mark, pos, len(before), len(after))
                     crowded = p["n"] > crowd
                     bucket = bisect_right(splitters, (p["lead"], p["gram"]))
                     if crowded:
-                        part = int.from_bytes(hashlib.blake2b(before + b"|" + after, digest_size=6).digest(), "big") % -(-p["n"] // crowd)
+                        part = int.from_bytes(digest[:6], "big") % -(-p["n"] // crowd)
                         bucket = int.from_bytes(hashlib.blake2b(f"{p['gram']} {part}".encode(), digest_size=7).digest(), "big") + (1 << 17)
-                    for k, v in (("doc", doc), ("mark", mark), ("pos", pos), ("gram", p["gram"]), ("bucket", bucket), ("crowded", crowded), ("before", before), ("after", after)):
-                        out[k].append(v)
+                    put(doc, mark, pos, p["gram"], bucket, crowded, before, after)
             return out
 
         return step

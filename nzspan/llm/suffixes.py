@@ -123,7 +123,7 @@ def _flat(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def find_anchors(keyed: DataFrame, length: int, gram: int) -> DataFrame:
-    """(doc, mark, pos, gram, lead) of keyed(doc, mark, text); lead: the first eight bytes of the gram as a number that sorts alike."""
+    """(doc, mark, pos, gram, lead, new) of keyed(doc, mark, text); lead: the first eight bytes of the gram as a number that sorts alike; new: 1 at a text's first such gram, else 0."""
 
     def make():
         hasher = Hasher(PIECE)
@@ -145,11 +145,14 @@ def find_anchors(keyed: DataFrame, length: int, gram: int) -> DataFrame:
                 lead = (lead << np.uint64(8)) | data[at + k].astype(np.uint64)
             lead ^= np.uint64(1 << 63)
             take = pa.array(row)
-            return {"doc": columns["doc"].take(take), "mark": columns["mark"].take(take), "pos": pa.array(at - offsets[row]), "gram": pa.array(g.view(np.int64)), "lead": pa.array(lead.view(np.int64))}
+            order = np.lexsort((at, g, row))
+            new = np.ones(len(at), np.int32)
+            new[order[1:]] = (g[order[1:]] != g[order[:-1]]) | (row[order[1:]] != row[order[:-1]])
+            return {"doc": columns["doc"].take(take), "mark": columns["mark"].take(take), "pos": pa.array(at - offsets[row]), "gram": pa.array(g.view(np.int64)), "lead": pa.array(lead.view(np.int64)), "new": pa.array(new)}
 
         return step
 
-    return common.arrow_map(keyed, make, "doc long, mark long, pos long, gram long, lead long")
+    return common.arrow_map(keyed, make, "doc long, mark long, pos long, gram long, lead long, new int")
 
 
 def multikey_order(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -292,8 +295,9 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
     ship(spark)
     keyed, reach = _keyed(documents), length - gram
     found = written(find_anchors(keyed.select("doc", "mark", "text"), length, gram), "suffix-anchors")
-    often = found.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    again = written(found.join(often, "gram"), "suffix-again")
+    # n counts texts: what a gram has more of in one text is nearly always the same context again, which goes on once
+    often = found.groupBy("gram").agg(F.count(F.lit(1)).alias("times"), F.sum("new").alias("n")).where("times > 1").drop("times")
+    again = written(found.drop("new").join(often, "gram"), "suffix-again")
     total = again.count()
     sample = again.select("lead", "gram").sample(min(1.0, SAMPLE / max(total, 1)), 42).toPandas() if total else None
     n_buckets = max(1, min(1 << 16, total // 4096))

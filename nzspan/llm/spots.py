@@ -142,10 +142,10 @@ def with_next(df: DataFrame, key: str, carried: list[str], rows_per_range: int =
         )
     )
     placed = keyed.join(F.broadcast(heads), keyed["_key"] == heads["_head"], "left").withColumn("_place", F.explode(places))
-    along = Window.partitionBy("_place.at").orderBy("_place.turn", F.col("_key").desc(), carried[0])
-    for column in carried:
-        placed = placed.withColumn(f"next_{column}", F.lead(column).over(along))
-    return placed.where(F.col("_place.turn") == 0).drop("_key", "_range", "_head", "_above", "_first", "_last", "_place")
+    placed = placed.select(*df.columns, "_key", F.col("_place.at").alias("_at"), F.col("_place.turn").alias("_turn"))
+    along = Window.partitionBy("_at").orderBy("_turn", F.col("_key").desc(), carried[0])
+    after = {f"next_{column}": F.lead(column).over(along) for column in carried}  # one window, one shuffle
+    return placed.withColumns(after).where("_turn = 0").drop("_key", "_at", "_turn")
 
 
 def op6_spots(spark: SparkSession, sf_dir: str) -> DataFrame:

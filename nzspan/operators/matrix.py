@@ -37,7 +37,7 @@ class SparseMatrix:
 
 def canonical(entries: DataFrame) -> DataFrame:
     """Entries with repeated places summed and zeros dropped; those with a null are left out (see quarantine). NaN stays."""
-    summed = as_entries(entries).na.drop().groupBy("row", "col").agg(F.sum("val").alias("val"))
+    summed = as_entries(entries).where("row IS NOT NULL AND col IS NOT NULL AND val IS NOT NULL").groupBy("row", "col").agg(F.sum("val").alias("val"))
     return summed.where((F.col("val") != 0) | F.isnan("val"))
 
 

@@ -55,3 +55,35 @@ def test_sql(same_rows):
 
     for name, sql in registry.oracle_sql().items():
         same_rows(registry.queries()[name], sql)
+
+
+def test_no_near_copies_stay(spark, docs):
+    import random
+
+    import corpus_pipeline as p
+
+    rng = random.Random(13)
+    texts = [" ".join(f"w{rng.randint(0, 5000)}" for _ in range(rng.choice([3, 40, 150, 400]))) for _ in range(40)]
+    for base in texts[:30]:
+        for many in (1, 2, 3, 5, 8):
+            words = base.split(" ")
+            for _ in range(many):
+                words[rng.randrange(len(words))] = f"n{rng.randint(0, 9999)}"
+            texts.append(" ".join(words))
+    line = " the same line stands at the end of every one of these texts as well"
+    texts = [t + line for t in texts] + texts[:3] + ["", " ", "one two"]
+    rng.shuffle(texts)
+
+    def shingle_set(text):
+        words = text.split()
+        width = min(5, len(words))
+        return {tuple(words[k : k + width]) for k in range(len(words) - width + 1)} if words else set()
+
+    sets, up = [shingle_set(t) for t in texts], list(range(len(texts)))
+    for b in range(len(sets)):
+        for a in range(b):
+            if up[a] != up[b] and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+                low, high = sorted((up[a], up[b]))
+                up = [low if u == high else u for u in up]
+    df = spark.createDataFrame([(k, t, "en", "s", len(t)) for k, t in enumerate(texts)], docs.schema)
+    assert {r["doc_id"] for r in p.simhash_stage(spark, df, DATA).collect()} == set(up)

@@ -2,8 +2,8 @@
 
 A signature starts at a common word, the anchor, and goes on with the next content words, those that are no
 anchors. Its words say little alone, so chains of them are told by where prose is prose. A document is the
-set of its signatures' hashes; its fingerprint holds the number of signatures and the smallest of their hashes. Two sets are
-compared by Jaccard: for the fingerprints by the smallest hashes of both, which is exact where sets fit. For near-duplicates,
+set of its signatures' hashes; its fingerprint holds the number of signatures and all their hashes. Two sets are
+compared by their exact Jaccard. For near-duplicates,
 sets are partitioned by length, as sets whose lengths differ too much cannot be alike, and only those compared that
 share one of their rarest signatures.
 """
@@ -26,8 +26,8 @@ ANCHORS = (
     "als auf das dem den der die ein eine ist mit nicht und von zu "
     "con del el es las los no para por se una y"
 ).split()
-#: Content words of a chain, and hashes that a fingerprint keeps.
-CHAIN, KEEP = 2, 64
+#: Content words of a chain.
+CHAIN = 2
 _MARK = "\u0001"
 
 
@@ -66,11 +66,11 @@ def _with_set(df: DataFrame, text: str, out: str, anchors, chain: int) -> DataFr
     return df.withColumn(out, F.array_sort(F.array_distinct(small))).drop("_segments", "_content", "_hashes")
 
 
-def with_sketch(df: DataFrame, text: str, size: str, sketch: str, anchors=tuple(ANCHORS), chain: int = CHAIN, keep: int = KEEP) -> DataFrame:
-    """df with the number of a text column's signatures and its `keep` smallest hashes; null texts count as empty."""
+def with_sketch(df: DataFrame, text: str, size: str, sketch: str, anchors=tuple(ANCHORS), chain: int = CHAIN) -> DataFrame:
+    """df with the number of a text column's signatures and all their hashes in order; null texts count as empty."""
     df = df.withColumn("_text", F.coalesce(F.col(text), F.lit("")))
-    df = _with_set(df, "_text", "_set", anchors, chain)
-    return df.withColumn(size, F.size("_set")).withColumn(sketch, F.slice("_set", 1, keep)).drop("_set", "_text")
+    df = _with_set(df, "_text", sketch, anchors, chain)
+    return df.withColumn(size, F.size(sketch)).drop("_text")
 
 
 def fingerprint_text(size: Column, sketch: Column) -> Column:
@@ -79,11 +79,10 @@ def fingerprint_text(size: Column, sketch: Column) -> Column:
     return F.concat(digits(size), F.array_join(F.transform(sketch, digits), ""))
 
 
-def likeness(size_a: Column, a: Column, size_b: Column, b: Column, keep: int = KEEP) -> Column:
-    """Jaccard of two fingerprints, by the smallest hashes of their union; two of no signatures are alike."""
-    least = F.slice(F.array_sort(F.array_union(a, b)), 1, keep)
-    both = F.size(F.array_intersect(least, F.array_intersect(a, b)))
-    return F.when((size_a == 0) & (size_b == 0), F.lit(1.0)).otherwise(both / F.greatest(F.size(least), F.lit(1)))
+def likeness(size_a: Column, a: Column, size_b: Column, b: Column) -> Column:
+    """Exact Jaccard of two signature sets; two of no signatures are alike."""
+    both = F.size(F.array_intersect(a, b))
+    return F.when((size_a == 0) & (size_b == 0), F.lit(1.0)).otherwise(both / F.greatest(size_a + size_b - both, F.lit(1)))
 
 
 def spot_links(documents: DataFrame, threshold: float = 0.8, anchors=tuple(ANCHORS), chain: int = CHAIN) -> tuple[DataFrame, DataFrame]:

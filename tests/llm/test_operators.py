@@ -278,6 +278,22 @@ def test_spots(spark, documents, rows, empty):
     assert spots.with_next(empty, "doc_id", ["text"]).count() == 0
 
 
+def test_spots_compares_whole_sets(spark, tmp_path):
+    rng = random.Random(14)
+    texts = [" ".join(f"the a{rng.randint(0, 40)} b{rng.randint(0, 8)}" for _ in range(n)) for n in (400, 300, 3, 0)]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+
+    def chains(text):
+        words = text.split()
+        return {tuple(words[k : k + 3]) for k in range(0, len(words), 3)}
+
+    found = {r["doc_id"]: r for r in spots.op6_spots(spark, str(tmp_path)).collect()}
+    for k, text in enumerate(texts):
+        ours, after = chains(text), chains(texts[(k - 1) % len(texts)])  # rows follow in descending order
+        assert found[k]["near_next"] == pytest.approx(len(ours & after) / len(ours | after))
+        assert len(found[k]["fingerprint"]) == 8 * (1 + len(ours))
+
+
 def test_spot_links(spark):
     rng = random.Random(8)
     base = " ".join(f"the {rng.choice(WORDS)}{rng.randint(0, 999)} x{rng.randint(0, 999)}" for _ in range(60))

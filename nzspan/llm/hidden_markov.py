@@ -2,9 +2,9 @@
 
 Tokens are words in lower case and one end token for each text. Every word's count in the training texts is taken. The most
 frequent words are classes of their own; all others, unknown ones too, fall into classes by their last two bytes. A state emits a
-class, and a class its words by their counts plus one half, with one half for an unknown word. Baum-Welch starts from a bounded
-sample (SAMPLE) and then takes whole passes over the training texts: each task adds up expected counts, which
-one aggregate sums. The scaled forward recursion gives a text's exact likelihood.
+class, and a class its words by their counts plus one half, with one half for an unknown word. Baum-Welch takes whole passes over the
+training texts, until one gains too little (TOLERANCE): each task adds up expected counts, which one aggregate sums. The scaled
+forward recursion gives a text's exact likelihood.
 
 Texts advance in step, many at a time, those that are longer outlasting the shorter. What concerns the count of
 a rare word comes by a join on the word, so no table that grows with the vocabulary leaves the cluster.
@@ -29,9 +29,10 @@ from . import common
 #: The end token; no word has white space.
 END = b"\n"
 STATES, OWN, SUFFIXES = 12, 8192, 256
-#: Words whose counts every task has; training texts that start the model; tokens of texts that advance together.
-KNOWN, SAMPLE, TOGETHER = 65536, 1500, 300_000
-PASSES, SAMPLE_PASSES, PRIOR = 2, 8, 20.0
+#: Words whose counts every task has; tokens of texts that advance together.
+KNOWN, TOGETHER = 65536, 300_000
+#: Training stops when a pass lifts the logarithm of the likelihood by less than this share of it.
+TOLERANCE, PRIOR = 1e-3, 20.0
 
 
 def suffix_class(word: bytes) -> int:
@@ -105,9 +106,9 @@ class Chain:
             out[order] = logs
         return out
 
-    def expect(self, texts: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> None:
-        """Add the expected counts of a forward and backward recursion to start, move and emit."""
-        states = len(self.start)
+    def expect(self, texts: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> float:
+        """Add the expected counts of a forward and backward recursion to start, move and emit; the log10 probability of all texts."""
+        states, told = len(self.start), 0.0
         for _, flat, alive in together(texts):
             ends = np.cumsum(alive)
             forward, scales = np.empty((len(flat), states)), np.empty(len(flat))
@@ -118,6 +119,7 @@ class Chain:
                 scales[lo:hi] = state.sum(axis=1)
                 state /= scales[lo:hi, None]
                 forward[lo:hi] = state
+            told += float(np.log10(scales).sum())
             back = np.ones((alive[-1], states))
             for t in range(len(alive) - 1, -1, -1):
                 n = alive[t]
@@ -133,6 +135,7 @@ class Chain:
             start += forward[: alive[0]].sum(axis=0)
             for k in range(states):
                 emit[:, k] += np.bincount(flat, weights=forward[:, k], minlength=len(emit))
+        return told
 
 
 def together(texts: list[np.ndarray]):
@@ -208,42 +211,49 @@ def class_shares(v: Vocabulary) -> np.ndarray:
     return share / share.sum()
 
 
-def train(documents: DataFrame, v: Vocabulary, states: int = STATES, passes: int = PASSES, seed: int = 42) -> Chain:
-    """A chain from documents(doc_id, text): sample passes on the driver, then passes over all texts on the cluster."""
+def train(documents: DataFrame, v: Vocabulary, states: int = STATES, passes: int | None = None, seed: int = 42) -> Chain:
+    """A chain from documents(text) by passes over all texts: so many, or until one gains less than TOLERANCE."""
     share = class_shares(v)
-    ids = documents.select("doc_id").distinct().orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(SAMPLE)
-    drawn = documents.select("doc_id", "text").join(F.broadcast(ids), "doc_id", "left_semi")
-    sample = drawn.orderBy("doc_id", "text").limit(2 * SAMPLE).collect()
-    texts = [v.read(r["text"])[0][:2000] for r in sample]  # the sample only starts the model
     size = len(share)
     chain = Chain.random(share, states, seed)
-    empty = lambda: (np.zeros(states), np.zeros((states, states)), np.zeros((size, states)))
-    for _ in range(SAMPLE_PASSES if texts else 0):
-        sums = empty()
-        chain.expect(texts, *sums)
-        chain = Chain.from_counts(*sums, share)
     names = [f"s{k}" for k in range(states)]
 
-    for _ in range(passes):
+    def make():
+        def step(columns: dict) -> dict:
+            return {"classes": [v.read(t.as_py())[0] for t in columns["text"]]}
+
+        return step
+
+    # words are looked up once, not in every pass
+    encoded = written(common.arrow_map(documents.select("text"), make, "classes array<int>"), "markov-classes")
+    before, done = -math.inf, 0
+    while passes is None or done < passes:
 
         def run(batches, chain=chain):
-            sums = empty()
+            sums = np.zeros(states), np.zeros((states, states)), np.zeros((size, states))
+            told = np.zeros((1, states))
             for batch in batches:
-                chain.expect([v.read(t.as_py())[0] for t in batch.column(0)], *sums)
-            rows = np.vstack([sums[0][None, :], *sums[1:]])
-            told = np.flatnonzero(rows.any(axis=1))
-            yield pa.RecordBatch.from_arrays([pa.array(told, pa.int32()), *[pa.array(rows[told, k]) for k in range(states)]], names=["i", *names])
-
-        found = documents.select("text").mapInArrow(run, "i int, " + ", ".join(f"{n} double" for n in names))
-        # a row for each state and class at most
+                column = batch.column(0)
+                values, cuts = column.values.to_numpy(), column.offsets.to_numpy()
+                told[0, 0] += chain.expect([values[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], *sums)
+            rows = np.vstack([sums[0][None, :], *sums[1:], told])
+            some = np.flatnonzero(rows.any(axis=1))
+            yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), *[pa.array(rows[some, k]) for k in range(states)]], names=["i", *names])
+
+        found = encoded.mapInArrow(run, "i int, " + ", ".join(f"{n} double" for n in names))
+        # a row for each state and class at most, and one for the likelihood
         total = found.groupBy("i").agg(*[F.sum(n).alias(n) for n in names]).toPandas().sort_values("i")
-        rows = np.zeros((1 + states + size, states))
+        rows = np.zeros((2 + states + size, states))
         rows[total["i"].to_numpy()] = total[names].to_numpy()
-        chain = Chain.from_counts(rows[0], rows[1 : 1 + states], rows[1 + states :], share)
+        chain = Chain.from_counts(rows[0], rows[1 : 1 + states], rows[1 + states : -1], share)
+        now, done = float(rows[-1, 0]), done + 1
+        if passes is None and now - before <= TOLERANCE * abs(now):
+            break
+        before = now
     return chain
 
 
-def score_documents(documents: DataFrame, held_out: Column, states: int = STATES, passes: int = PASSES, seed: int = 42) -> DataFrame:
+def score_documents(documents: DataFrame, held_out: Column, states: int = STATES, passes: int | None = None, seed: int = 42) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row of documents(doc_id, text).
 
     Rows where held_out is true are scored only. Null and empty texts are one end token. Without training texts every class

@@ -370,6 +370,28 @@ def test_markov(documents, rows, empty):
     assert hidden_markov.score_documents(empty, F.lit(False), states=2, passes=1).count() == 0
 
 
+def test_markov_learns_from_the_end_of_long_texts(spark):
+    # all texts start alike for 3,000 tokens; only what follows tells that c comes after b
+    texts = [" ".join(["a"] * 3000 + ["b", "c"] * 400) for _ in range(6)]
+    df = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    v = hidden_markov.vocabulary(hidden_markov.count_words(df))
+    chain = hidden_markov.train(df, v, states=3)
+    whole = chain.likelihood([v.read(t)[0] for t in texts]).sum()
+    share = hidden_markov.class_shares(v)
+    alone = hidden_markov.Chain.random(share, 3)
+    seen = [v.read(t)[0] for t in texts]
+    before = -math.inf
+    while True:  # the same passes in one process
+        sums = np.zeros(3), np.zeros((3, 3)), np.zeros((len(share), 3))
+        told = alone.expect(seen, *sums)
+        assert told == pytest.approx(alone.likelihood(seen).sum())
+        alone = hidden_markov.Chain.from_counts(*sums, share)
+        if told - before <= hidden_markov.TOLERANCE * abs(told):
+            break
+        before = told
+    assert whole == pytest.approx(alone.likelihood(seen).sum(), rel=1e-6)
+
+
 # --- toxicity
 
 

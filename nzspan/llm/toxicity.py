@@ -1,9 +1,10 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries are trained, one on toxic and one on ordinary text. A window is a word with
-its surroundings held constant, so that only the word's own length differs; the difference of its two compressed
-lengths, ordinary less toxic, says which text it is like. A document gathers the evidence of its windows by
-thresholds calibrated on labelled text, and a logistic curve turns that into a score.
+zstandard trains two dictionaries, one on toxic and one on ordinary text, from whole texts cut into short samples. Windows of
+several words run over a text; the difference of a window's two compressed lengths, ordinary less toxic, says which
+text it is like. Beside them every word is a window of its own with its surroundings held constant, for which the toxic dictionary
+is a list of telling words. A document gathers the evidence of both kinds by thresholds calibrated on
+labelled text, and a logistic curve turns that into a score.
 
 Fitting reads labelled rows up to a bound for each class (SAMPLE), those with the least hash of their id; scoring
 reads every window of every text.
@@ -13,7 +14,7 @@ from __future__ import annotations
 
 import math
 from collections import Counter
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import zstandard
@@ -27,6 +28,8 @@ from . import common
 #: Labelled texts of each class that a fit reads at most.
 SAMPLE = 3000
 DICTIONARY = 4096
+#: Bytes of a trained dictionary and of the samples that train it; words of a window, and from one window to the next; largest difference.
+TRAINED, SAMPLED, WINDOW, STRIDE, WIDEST = 112640, 64, 5, 2, 20
 #: Text around each word, so that zstandard finds matches up to the word's end.
 FRAME = b"0123456789abcdef0123456789ABCDEF"
 #: Remembered words of a worker.
@@ -48,23 +51,25 @@ def contrast(ours: Counter, n_ours: int, theirs: Counter, n_theirs: int) -> list
     return sorted(found, reverse=True)
 
 
-def train_dictionary(ours: list[list[bytes]], theirs: list[list[bytes]], size: int = DICTIONARY, share: float = 0.15) -> bytes:
-    """Dictionary content for the texts of one class: its most telling words, those that tell most nearest to the window."""
+def train_dictionary(ours: list[list[bytes]], theirs: list[list[bytes]]) -> bytes:
+    """Dictionary content for the texts of one class: all words that tell beyond chance, those that tell most nearest to the window."""
     mine, other = Counter(), Counter()
     for words in ours:
         mine.update(set(words))
     for words in theirs:
         other.update(set(words))
     ranked = contrast(mine, len(ours), other, len(theirs))
-    top = ranked[0][0] if ranked else 0.0
-    out, room = [], size
-    for value, word in ranked:
-        piece = b" " + word + b" "
-        if value < max(share * top, 10.0) or len(piece) > room:
-            break
-        out.append(piece)
-        room -= len(piece)
-    return b"".join(reversed(out))
+    return b"".join(b" " + word + b" " for value, word in reversed(ranked) if value >= 10.0)
+
+
+def trained_dictionary(texts: list[list[bytes]], size: int = TRAINED) -> bytes:
+    """A dictionary by zstandard's trainer from whole texts; the texts themselves, up to its size, where they are too few to train on."""
+    whole = [b" ".join(words) for words in texts]
+    samples = [t[k : k + SAMPLED] for t in whole for k in range(0, len(t), SAMPLED)]
+    try:
+        return zstandard.train_dictionary(size, [x for x in samples if len(x) >= 8]).as_bytes()
+    except zstandard.ZstdError:
+        return b" ".join(whole)[-size:]
 
 
 def frequent_dictionary(texts: list[list[bytes]], size: int = DICTIONARY) -> bytes:
@@ -82,7 +87,9 @@ class Model:
     toxic: bytes
     ordinary: bytes
     evidence: np.ndarray  # of a difference of 0, 1, 2, ...
-    weights: np.ndarray  # of one, the logarithm of the evidence, the largest difference
+    weights: np.ndarray  # of the features
+    trained: tuple[bytes, bytes] = (b"", b"")  # by zstandard, toxic and ordinary
+    window_evidence: np.ndarray = field(default_factory=lambda: np.zeros(2 * WIDEST + 1))  # of a difference of -WIDEST and on
 
     def differ(self):
         """A function from a word to the difference of its compressed lengths, at least 0; it remembers words."""
@@ -104,10 +111,24 @@ class Model:
 
         return difference
 
-    def features(self, differences: list[int]) -> tuple[float, float, float]:
+    def slide(self):
+        """A function from the words of a text to the differences of its windows, from 0 to 2 * WIDEST with WIDEST for none."""
+        p = zstandard.ZstdCompressionParameters.from_level(3, min_match=3, write_content_size=False, write_checksum=False, write_dict_id=False)
+        ours, theirs = (zstandard.ZstdCompressor(dict_data=zstandard.ZstdCompressionDict(d), compression_params=p).compress for d in self.trained)
+
+        def differences(words: list[bytes]) -> np.ndarray:
+            starts = range(0, max(1, len(words) - WINDOW + STRIDE), STRIDE) if words else ()
+            windows = [b" " + b" ".join(words[k : k + WINDOW]) + b" " for k in starts]
+            return np.clip(np.array([len(theirs(x)) - len(ours(x)) for x in windows], np.int64), -WIDEST, WIDEST) + WIDEST
+
+        return differences
+
+    def features(self, differences: list[int], windows: np.ndarray) -> tuple[float, ...]:
+        """One, and for words and windows the logarithm of the evidence and the largest difference."""
         known = len(self.evidence) - 1
         gathered = sum(float(self.evidence[min(d, known)]) * times for d, times in Counter(differences).items() if d)
-        return 1.0, math.log1p(gathered), float(min(max(differences, default=0), known))
+        most = (float(windows.max()) - WIDEST) if len(windows) else 0.0
+        return 1.0, math.log1p(gathered), float(min(max(differences, default=0), known)), math.log1p(float(self.window_evidence[windows].sum())), most
 
     def score(self, features: np.ndarray) -> np.ndarray:
         return 1.0 / (1.0 + np.exp(-np.clip(features @ self.weights, -40, 40)))
@@ -130,19 +151,22 @@ def fit(toxic: list[str], ordinary: list[str], widest: int = 16) -> Model:
 
     Dictionaries come from two thirds of the texts, thresholds and the curve from the rest, so that they are not fitted to what was trained on.
     """
-    base = np.array([math.log((len(toxic) + 0.5) / (len(ordinary) + 0.5)) if toxic or ordinary else -1.0, 0.0, 0.0])
+    base = np.array([math.log((len(toxic) + 0.5) / (len(ordinary) + 0.5)) if toxic or ordinary else -1.0, 0.0, 0.0, 0.0, 0.0])
     if not toxic or not ordinary:
         return Model(b"", b"", np.zeros(widest + 1), base)
     groups = [[common.byte_words(t) for t in dict.fromkeys(texts)] for texts in (toxic, ordinary)]
     held = [[w for i, w in enumerate(g) if i % 3 == 0] if len(g) > 20 else g for g in groups]
     used = [[w for i, w in enumerate(g) if i % 3] if len(g) > 20 else g for g in groups]
-    model = Model(train_dictionary(used[0], used[1]), frequent_dictionary(used[1]), np.zeros(widest + 1), base)
-    differ = model.differ()
+    model = Model(train_dictionary(used[0], used[1]), frequent_dictionary(used[1]), np.zeros(widest + 1), base, (trained_dictionary(used[0]), trained_dictionary(used[1])))
+    differ, slide = model.differ(), model.slide()
     found = [[[min(differ(w), widest) for w in words] for words in g] for g in held]
     counts = [np.bincount([d for one in g for d in one], minlength=widest + 1) + 0.5 for g in found]
     ratio = np.log(counts[0] / counts[0].sum()) - np.log(counts[1] / counts[1].sum())
     model.evidence = np.maximum.accumulate(np.maximum(ratio, 0.0) * (np.arange(widest + 1) > 0))
-    x = np.array([model.features(one) for g in found for one in g])
+    slid = [[slide(words) for words in g] for g in held]
+    counts = [np.bincount(np.concatenate(g), minlength=2 * WIDEST + 1) + 0.5 for g in slid]
+    model.window_evidence = np.maximum(np.log(counts[0] / counts[0].sum()) - np.log(counts[1] / counts[1].sum()), 0.0)
+    x = np.array([model.features(one, many) for g, s in zip(found, slid, strict=True) for one, many in zip(g, s, strict=True)])
     y = np.array([1.0] * len(found[0]) + [0.0] * len(found[1]))
     model.weights = logistic(x, y)
     return model
@@ -167,11 +191,11 @@ def score_documents(documents: DataFrame, model: Model) -> DataFrame:
     schema = [f for f in documents.schema.fields if f.name not in ("score", "predicted")]
 
     def make():
-        differ = model.differ()
+        differ, slide = model.differ(), model.slide()
 
         def step(columns: dict) -> dict:
-            x = [model.features([differ(w) for w in common.byte_words(t.as_py())]) for t in columns["text"]]
-            score = model.score(np.array(x).reshape(len(x), 3))
+            x = [model.features([differ(w) for w in words], slide(words)) for words in (common.byte_words(t.as_py()) for t in columns["text"])]
+            score = model.score(np.array(x).reshape(len(x), len(model.weights)))
             return {f.name: columns[f.name] for f in schema} | {"score": score, "predicted": (score >= 0.5).astype(np.int32)}
 
         return step

@@ -414,3 +414,14 @@ def test_toxicity(spark, documents, empty):
     none = toxicity.fit([], [])
     assert toxicity.score_documents(documents, none).where("predicted = 1").count() == 0
     assert toxicity.score_documents(empty, none).count() == 0
+
+
+def test_toxicity_trains_on_toxic_text():
+    rng = random.Random(15)
+    # each of these words is in few toxic texts, far less telling than the one that is in all
+    bad = [f"vile{k}" for k in range(13)]
+    toxic = [prose(rng, 60) + " despicable " + bad[k % 13] for k in range(240)]
+    model = toxicity.fit(toxic, [prose(rng, 60) for _ in range(400)])
+    assert all(w.encode() in model.toxic for w in bad)
+    assert b"despicable" in model.trained[0] and b"despicable" not in model.trained[1]
+    assert len(model.slide()(["a b c".encode()] * 20)) == 9 and len(model.slide()([])) == 0

@@ -74,7 +74,7 @@ def trained_dictionary(texts: list[list[bytes]], size: int = TRAINED) -> bytes:
 
 def frequent_dictionary(texts: list[list[bytes]], size: int = DICTIONARY) -> bytes:
     """Dictionary content by zstandard's own trainer, or the most common words where there is too little text for it."""
-    samples = [b" ".join(words)[:4096] for words in texts if words]
+    samples = [t[k : k + 4096] for t in (b" ".join(words) for words in texts) for k in range(0, len(t), 4096)]
     try:
         return zstandard.train_dictionary(size, samples, level=3).as_bytes()
     except zstandard.ZstdError:

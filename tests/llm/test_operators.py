@@ -425,3 +425,9 @@ def test_toxicity_trains_on_toxic_text():
     assert all(w.encode() in model.toxic for w in bad)
     assert b"despicable" in model.trained[0] and b"despicable" not in model.trained[1]
     assert len(model.slide()(["a b c".encode()] * 20)) == 9 and len(model.slide()([])) == 0
+
+
+def test_ordinary_dictionary_has_the_ends_of_long_texts():
+    rng = random.Random(16)
+    texts = [prose(rng, 1500).split(" ") + f"the same rare closing {k}".split(" ") * 40 for k in range(60)]
+    assert b"rare closing" in toxicity.frequent_dictionary([[w.encode() for w in words] for words in texts])

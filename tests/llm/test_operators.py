@@ -416,18 +416,72 @@ def test_toxicity(spark, documents, empty):
     assert toxicity.score_documents(empty, none).count() == 0
 
 
-def test_toxicity_trains_on_toxic_text():
+def test_dictionaries_are_narrowed_to_toxic_windows():
     rng = random.Random(15)
-    # each of these words is in few toxic texts, far less telling than the one that is in all
-    bad = [f"vile{k}" for k in range(13)]
-    toxic = [prose(rng, 60) + " despicable " + bad[k % 13] for k in range(240)]
+    # each of these words is in few toxic texts, far fewer than the one that is in all
+    bad = [f"vile{k}monger" for k in range(6)]
+    toxic = [prose(rng, 60) + " despicable " + bad[k % 6] + " " + prose(rng, 5) for k in range(240)]
     model = toxicity.fit(toxic, [prose(rng, 60) for _ in range(400)])
-    assert all(w.encode() in model.toxic for w in bad)
-    assert b"despicable" in model.trained[0] and b"despicable" not in model.trained[1]
-    assert len(model.slide()(["a b c".encode()] * 20)) == 9 and len(model.slide()([])) == 0
+    assert b"despicable" in model.toxic and b"despicable" not in model.ordinary
+    differ = model.differ()
+    telling = differ([[f" {w} ".encode() for w in [*bad, "despicable"]]])[0]
+    assert telling.min() > np.percentile(differ([toxicity.windows_of(prose(rng, 2000))])[0], 99)
 
 
-def test_ordinary_dictionary_has_the_ends_of_long_texts():
+def test_toxicity_in_each_language():
+    rng = random.Random(17)
+    syllables = {"one": "ka lo mi ru te sa po ne".split(), "two": "ößch ung keit äz eur über ein ll".split()}
+    bad = {"one": ["scoundrel", "brutish"], "two": ["drüwix", "gemäfft"]}
+
+    def text(kind, is_toxic):
+        words = ["".join(rng.choice(syllables[kind]) for _ in range(rng.randint(1, 4))) for _ in range(80)]
+        for _ in range(3 if is_toxic else 0):
+            words.insert(rng.randint(0, len(words)), rng.choice(bad[kind]) + rng.choice(["", ".", ","]))
+        return " ".join(words)
+
+    kinds = ["one", "one", "one", "two"]
+    model = toxicity.fit([text(kinds[k % 4], True) for k in range(160)], [text(kinds[k % 4], False) for k in range(320)])
+    differ = model.differ()
+    for kind in ("one", "two"):
+        for is_toxic in (True, False):
+            texts = [toxicity.windows_of(text(kind, is_toxic)) for _ in range(50)]
+            scores = model.score(np.array([toxicity.features(d) for d in differ(texts)]))
+            assert np.mean((scores >= 0.5) == is_toxic) >= 0.9, (kind, is_toxic)
+
+
+def test_windows_and_lengths_one_at_a_time():
+    import zstandard
+
+    text = "Short Words and " + "y" * 130 + " ünd " + "x" * 48 + "\n end"
+    windows = toxicity.windows_of(text)
+    assert b"".join(w.strip() for w in windows) == b"".join(common.byte_words(text)) and max(map(len, windows)) <= toxicity.WIDE + 2
+    content = b" despicable  wretched  some ordinary words stand here too "
+    p = zstandard.ZstdCompressionParameters.from_level(3, min_match=3, write_content_size=False, write_checksum=False, write_dict_id=False)
+    dictionary = zstandard.ZstdCompressionDict(content + toxicity.FRAME, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+    alone = [len(zstandard.ZstdCompressor(dict_data=dictionary, compression_params=p).compress(toxicity.FRAME + w + toxicity.FRAME)) for w in windows]
+    assert toxicity.compressed_lengths(content)(windows).tolist() == alone
+    assert toxicity.windows_of(None) == toxicity.windows_of(" \t") == []
+    assert toxicity.features(np.zeros(0, np.int64))[1:].tolist() == [0.0] * (1 + len(toxicity.THRESHOLDS))
+
+
+def test_op7_scores_as_one_process_does(spark):
+    data = "/root/testdata/sf0.001"
+    docs = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{data}/documents.parquet").collect()}
+    labels = {r["doc_id"]: r["toxic"] for r in spark.read.parquet(f"{data}/labels.parquet").collect()}
+    fold = lambda i: zlib.crc32(str(i).encode()) % 5
+    sample = toxicity.training_sample(spark.read.parquet(f"{data}/documents.parquet"), spark.read.parquet(f"{data}/labels.parquet"))
+    for value, texts in zip((1, 0), sample, strict=True):
+        assert sorted(texts) == sorted(docs[i] for i, v in labels.items() if v == value and fold(i) != 0)
+    model = toxicity.fit(*sample)
+    got = toxicity.op7_toxicity(spark, data).collect()
+    assert {r["doc_id"] for r in got} == set(docs)
+    for r in got:
+        want = float(model.score(toxicity.features(model.differ()([toxicity.windows_of(docs[r["doc_id"]])])[0])[None, :])[0])
+        assert r["score"] == pytest.approx(want) and r["predicted"] == int(want >= 0.5) and r["held_out"] == (fold(r["doc_id"]) == 0)
+
+
+def test_training_samples_cover_whole_texts():
     rng = random.Random(16)
-    texts = [prose(rng, 1500).split(" ") + f"the same rare closing {k}".split(" ") * 40 for k in range(60)]
-    assert b"rare closing" in toxicity.frequent_dictionary([[w.encode() for w in words] for words in texts])
+    texts = [toxicity.windows_of(prose(rng, 1500) + " the same rare closing") for _ in range(6)]
+    assert sum(b"rare closing" in x for x in toxicity.pieces(texts)) >= 3
+    assert b"".join(toxicity.pieces(texts)).split() == [w.strip() for t in texts for w in t]

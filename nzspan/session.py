@@ -42,12 +42,16 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where it is unset."""
+    """The folder that all executors share, spark.checkpoint.dir. A local session may do without the setting; others must have it."""
     context = spark.sparkContext._jsc.sc()
     known = context.getCheckpointDir()
     if known.isDefined():
         return str(known.get())
-    folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="nzspan-checkpoints-")
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        folder = tempfile.mkdtemp(prefix="nzspan-checkpoints-")
     spark.sparkContext.setCheckpointDir(folder)
     return str(context.getCheckpointDir().get())
 
@@ -64,4 +68,15 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
     path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._written_to = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete the files of tables from written(); only once nothing that is still to run reads them."""
+    for df in tables:
+        if path := getattr(df, "_written_to", None):
+            where = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+            df._written_to = None

@@ -25,13 +25,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from nzspan.session import ship, written
+from nzspan.session import discard, ship, written
 
 from . import common
 
 LENGTH, GRAM = 400, 64
 #: Suffixes of one gram that one bucket takes; bytes of text worked on at once; suffixes sorted, and offsets compared, at once.
 CROWD, PIECE, ROWS, COLUMNS = 32768, 1 << 18, 1024, 32
+#: Contexts that a task remembers.
+MEMORY = 200_000
 #: Sampled suffixes for the splitters.
 SAMPLE = 100_000
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -297,7 +299,9 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
     found = written(find_anchors(keyed.select("doc", "mark", "text"), length, gram), "suffix-anchors")
     # n counts texts: what a gram has more of in one text is nearly always the same context again, which goes on once
     often = found.groupBy("gram").agg(F.count(F.lit(1)).alias("times"), F.sum("new").alias("n")).where("times > 1").drop("times")
+    often = written(often, "suffix-often")  # a table, so that a join with a very common gram can be split
     again = written(found.drop("new").join(often, "gram"), "suffix-again")
+    discard(found, often)
     total = again.count()
     sample = again.select("lead", "gram").sample(min(1.0, SAMPLE / max(total, 1)), 42).toPandas() if total else None
     n_buckets = max(1, min(1 << 16, total // 4096))
@@ -341,6 +345,8 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
                             met[digest] = None
                         whole(doc, mark, pos, len(before), len(after))
                         continue
+                    if len(met) >= MEMORY:  # what comes again is told in its bucket
+                        met.clear()
                     met[digest] = (doc, mark, pos, len(before), len(after))
                     crowded = p["n"] > crowd
                     bucket = bisect_right(splitters, (p["lead"], p["gram"]))
@@ -375,6 +381,7 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
             yield _compare(held, length, reach, hasher, second)
 
     spans = written(suffixes.mapInArrow(compare, SPANS), "suffix-spans")
+    discard(again)
     met = spans.where("h1 IS NOT NULL").groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("times"), F.collect_list(F.when(F.col("start") >= 0, F.struct("doc", "mark", "start", "stop"))).alias("own")).where("times > 1")
     across = met.select(F.explode("own").alias("o")).select("o.*")
     spans = spans.where("h1 IS NULL").select("doc", "mark", "start", "stop").unionByName(across)

@@ -33,6 +33,8 @@ STATES, OWN, SUFFIXES = 12, 8192, 256
 KNOWN, TOGETHER = 65536, 300_000
 #: Training stops when a pass lifts the logarithm of the likelihood by less than this share of it.
 TOLERANCE, PRIOR = 1e-3, 20.0
+#: Steps of a recursion from one scaling to the next.
+RESCALE = 16
 
 
 def suffix_class(word: bytes) -> int:
@@ -91,50 +93,76 @@ class Chain:
         start, move, emit = start + 0.1, move + 0.1, emit + PRIOR * share[:, None]
         return cls(start / start.sum(), move / move.sum(axis=1, keepdims=True), emit / emit.sum(axis=0))
 
+    def forward(self, flat: np.ndarray, alive: list[int], seen: np.ndarray, out: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+        """(what each text was scaled by, step by step; sums of the last states): the forward recursion, in out if it is given.
+
+        Only every RESCALE-th step is scaled, which double precision has room for.
+        """
+        ends = np.cumsum(alive).tolist()
+        scales = np.ones(len(flat))
+        last = np.empty(alive[0])
+        two = np.empty((2, alive[0], len(self.start))) if out is None else None
+        before = None
+        for t, n in enumerate(alive):
+            hi = ends[t]
+            lo = hi - n
+            state = out[lo:hi] if out is not None else two[t & 1, :n]
+            if t:
+                m = len(before)
+                if m > n:
+                    last[n:m] = before[n:].sum(axis=1)
+                np.matmul(before[:n], self.move, out=state)
+            else:
+                state[:] = self.start
+            state *= seen[lo:hi]
+            if t % RESCALE == RESCALE - 1:
+                scale = 1.0 / state.sum(axis=1)
+                state *= scale[:, None]
+                scales[lo:hi] = scale
+            before = state
+        last[: len(before)] = before.sum(axis=1)
+        return scales, last
+
     def likelihood(self, texts: list[np.ndarray]) -> np.ndarray:
         """log10 probability of every sequence of classes."""
         out = np.zeros(len(texts))
         for order, flat, alive in together(texts):
-            logs, at = np.zeros(len(order)), 0
-            for t, n in enumerate(alive):
-                seen = self.emit[flat[at : at + n]]
-                state = self.start * seen if t == 0 else (state[:n] @ self.move) * seen
-                scale = state.sum(axis=1)
-                state /= scale[:, None]
-                logs[:n] += np.log10(scale)
-                at += n
+            scales, last = self.forward(flat, alive, self.emit[flat], None)
+            logs, ends = np.log10(last), np.cumsum(alive).tolist()
+            for t in range(RESCALE - 1, len(alive), RESCALE):
+                logs[: alive[t]] -= np.log10(scales[ends[t] - alive[t] : ends[t]])
             out[order] = logs
         return out
 
     def expect(self, texts: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> float:
         """Add the expected counts of a forward and backward recursion to start, move and emit; the log10 probability of all texts."""
         states, told = len(self.start), 0.0
+        turned = np.ascontiguousarray(self.move.T)
         for _, flat, alive in together(texts):
-            ends = np.cumsum(alive)
-            forward, scales = np.empty((len(flat), states)), np.empty(len(flat))
-            for t, n in enumerate(alive):
-                lo, hi = ends[t] - n, ends[t]
-                seen = self.emit[flat[lo:hi]]
-                state = self.start * seen if t == 0 else (state[:n] @ self.move) * seen
-                scales[lo:hi] = state.sum(axis=1)
-                state /= scales[lo:hi, None]
-                forward[lo:hi] = state
-            told += float(np.log10(scales).sum())
-            back = np.ones((alive[-1], states))
-            for t in range(len(alive) - 1, -1, -1):
-                n = alive[t]
-                lo, hi = ends[t] - n, ends[t]
-                if t + 1 < len(alive):
-                    m = alive[t + 1]
-                    ahead = self.emit[flat[hi : hi + m]] * back / scales[hi : hi + m, None]
-                    move += self.move * (forward[lo : lo + m].T @ ahead)
-                    back = np.ones((n, states))
-                    back[:m] = ahead @ self.move.T
-                forward_t = forward[lo:hi]
-                forward_t *= back  # now the states' probabilities
-            start += forward[: alive[0]].sum(axis=0)
+            ends = np.cumsum(alive).tolist()
+            seen = self.emit[flat]
+            ahead = np.empty((len(flat), states))  # forward, then the states' probabilities
+            scales, last = self.forward(flat, alive, seen, ahead)
+            told += float(np.log10(last).sum() - np.log10(scales).sum())
+            back = np.ones((len(flat), states))
+            for t in range(len(alive) - 2, -1, -1):
+                lo, hi, m = ends[t] - alive[t], ends[t], alive[t + 1]
+                seen[hi : hi + m] *= back[hi : hi + m]  # now with all that follows
+                np.matmul(seen[hi : hi + m], turned, out=back[lo : lo + m])
+                if t % RESCALE == 0:
+                    back[lo : lo + m] /= back[lo : lo + m].sum(axis=1, keepdims=True)
+            both = np.einsum("ij,ij->i", ahead, back)
+            first = alive[0]
+            if len(flat) > first:
+                # where the token before each one stands
+                before = np.arange(first, len(flat)) - np.repeat(alive[:-1], alive[1:])
+                seen[first:] *= (scales[first:] / both[first:])[:, None]
+                move += self.move * (ahead[before].T @ seen[first:])
+            ahead *= back
+            ahead /= both[:, None]
+            start += ahead[:first].sum(axis=0)
             for k in range(states):
-                emit[:, k] += np.bincount(flat, weights=forward[:, k], minlength=len(emit))
+                emit[:, k] += np.bincount(flat, weights=ahead[:, k], minlength=len(emit))
         return told
 
 

@@ -2,14 +2,18 @@
 
 A block holds the ids of whole documents. It resets the model and carries checksums, so it can be read alone. Its ids are
 dealt to lanes of equal length that move in step; every step codes one id of each lane, and the
-model learns from all of them. Per lane the coder mixes three predictions:
+model learns from all of them. An id is coded as one symbol, and plain bits where the symbol leaves some open:
 
-- order 2 and order 1: the id that last followed the two ids, or the one id, before;
-- order 0: the id's rank by frequency in the block, told by an adaptive class, the rank's bit length, and plain bits.
+- 0: the id that last followed the two ids before;
+- 1: the id that last followed the one id before;
+- 2 + n: an id whose rank by frequency in the block has n bits, of which the lower n - 1 are plain.
 
-One symbol says which prediction holds: 0 the order-2 one, 1 the order-1 one, 2 + n a rank of n bits. How sure
-the two predictions have been, and whether they agree, chooses the table of adaptive frequencies that the
-range coder codes the symbol with. Lanes are coded by vector arithmetic.
+Three models predict the symbol, each by adaptive frequencies: of order 0 (one table), of order 1 (a table for each
+bit length of the id before and trust in what followed it) and of order 2 (for the bit lengths of the two ids
+before, the trust in what followed both, and whether the two followers agree). The range coder codes with the mixture of the three.
+Every lane has its own weights: after each symbol a model's weight is multiplied by the chance it gave, and a share of all weight is
+dealt out evenly, so that a model that was poor can return. Mixture, weights and tables are whole numbers or plain sums and quotients, which
+the reader repeats exactly. Lanes are coded by vector arithmetic.
 
 Layout of a payload, numbers little-endian:
 magic 4 bytes, version u8, lane length u32, ids u64, distinct u32, ids' crc32 u32, lanes u32,
@@ -23,12 +27,15 @@ import zlib
 
 import numpy as np
 
-MAGIC, VERSION = b"CMRC", 1
+MAGIC, VERSION = b"CMRC", 2
 LANE = 2048
 HEAD = struct.Struct("<4sBIQIII")
 SCALE = 12  # bits of the frequencies' total
 CLASSES = 34  # two predictions, and ranks of 0 to 31 bits
-TABLES = 32
+WIDTHS, HALVES = 32, 16  # bit lengths that order 1, and pairs of bit lengths that order 2, tells apart
+FIRST = np.array([0, 1, 1 + 4 * WIDTHS, 1 + 4 * WIDTHS + 8 * HALVES * HALVES])  # where the tables of each order begin, and their end
+WEIGHT, SHARED = 16, 5  # bits of the weights' total; a share of 1 in 2 ** SHARED is dealt out evenly
+SETTLED, EVERY = 32, 8  # from this step on, tables are brought up to date every so many steps
 HASH = 18
 _TOP, _LOW = np.uint64(1 << 48), np.uint64(1 << 32)
 _U = np.uint64
@@ -39,21 +46,27 @@ class Damaged(ValueError):
 
 
 class Predictor:
-    """The adaptive state of a block: predictions with their confidence, and frequency tables."""
+    """The adaptive state of a block: predictions with their confidence, frequency tables of three orders, and weights."""
 
     def __init__(self, lanes: int):
         self.next1, self.next2 = np.zeros(1 << HASH, np.int64), np.zeros(1 << HASH, np.int64)
         self.sure1, self.sure2 = np.zeros(1 << HASH, np.int64), np.zeros(1 << HASH, np.int64)
-        self.counts = np.ones((TABLES, CLASSES))
-        self.counts[:, 2:] += 1
-        self.cumulative = np.zeros((TABLES, CLASSES + 1), np.int64)
+        self.counts = np.full((FIRST[-1], CLASSES), 0.05)
+        self.counts[:, 2:] += 0.05
+        self.cumulative = np.zeros((FIRST[-1], CLASSES + 1), np.int64)
+        self.flat = self.cumulative.ravel()
         self.last1, self.last2 = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
-        self.refresh()
+        self.long1, self.long2 = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
+        self.weights = np.full((3, lanes), (1 << WEIGHT) // 3, np.int64)
+        self.weights[0] += (1 << WEIGHT) - self.weights.sum(axis=0)
+        self.steps, self.recent = 0, []
+        self.refresh(np.arange(FIRST[-1]))
 
-    def refresh(self) -> None:
+    def refresh(self, some: np.ndarray) -> None:
+        """Bring the cumulative frequencies of some tables up to date; every symbol keeps a frequency of one at least."""
         spare = (1 << SCALE) - CLASSES
-        grown = np.cumsum(self.counts, axis=1)
-        self.cumulative[:, 1:] = np.floor(grown / grown[:, -1:] * spare).astype(np.int64) + np.arange(1, CLASSES + 1)
+        grown = np.cumsum(self.counts[some], axis=1)
+        self.cumulative[some, 1:] = np.floor(grown / grown[:, -1:] * spare).astype(np.int64) + np.arange(1, CLASSES + 1)
 
     def look(self, n: int) -> None:
         """Predictions for the first n lanes."""
@@ -63,9 +76,34 @@ class Predictor:
         self.at2 = (mixed ^ (mixed >> 15)) & ((1 << HASH) - 1)
         self.guess1, self.guess2 = self.next1[self.at1], self.next2[self.at2]
         self.trust1, self.trust2 = self.sure1[self.at1], self.sure2[self.at2]
-        self.table = self.trust2 * 8 + self.trust1 * 2 + (self.guess1 == self.guess2)
+        long1, long2 = self.long1[:n], self.long2[:n]
+        order1 = FIRST[1] + long1 * 4 + self.trust1
+        order2 = FIRST[2] + (((long1 >> 1) * HALVES + (long2 >> 1)) * 4 + self.trust2) * 2 + (self.guess1 == self.guess2)
+        self.tables = (np.zeros(n, np.int64), order1, order2)
+        self.bases = [t * (CLASSES + 1) for t in self.tables]
+        self.shares = self.weights[:, :n]
 
-    def learn(self, rank: np.ndarray, symbol: np.ndarray) -> None:
+    def mixture(self, symbol: np.ndarray) -> np.ndarray:
+        """Cumulative frequency below a symbol of each lane, of the weighted mixture of the three models."""
+        total = self.shares[0] * self.flat[self.bases[0] + symbol]
+        for k in (1, 2):
+            total += self.shares[k] * self.flat[self.bases[k] + symbol]
+        return total >> WEIGHT
+
+    def find(self, target: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The symbols whose frequencies hold the targets, and the cumulative frequencies below and above them."""
+        low, high = np.zeros(len(target), np.int64), np.full(len(target), CLASSES, np.int64)
+        below, above = np.zeros(len(target), np.int64), np.full(len(target), 1 << SCALE, np.int64)
+        while True:
+            middle = (low + high) >> 1
+            at = self.mixture(middle)
+            upper = target >= at
+            low, below = np.where(upper, middle, low), np.where(upper, at, below)
+            high, above = np.where(upper, high, middle), np.where(upper, above, at)
+            if (high - low).max() <= 1:
+                return low, below, above
+
+    def learn(self, rank: np.ndarray, bits: np.ndarray, symbol: np.ndarray) -> None:
         n = len(rank)
         for at, guess, nexts, sure in ((self.at1, self.guess1, self.next1, self.sure1), (self.at2, self.guess2, self.next2, self.sure2)):
             hit = guess == rank
@@ -73,12 +111,25 @@ class Predictor:
             # of lanes that share a slot the last one counts
             nexts[at] = np.where(hit | (trust > 0), np.where(hit, rank, guess), rank)
             sure[at] = np.where(hit, np.minimum(trust + 1, 3), np.maximum(trust - 1, 0))
-        self.counts += np.bincount(self.table * CLASSES + symbol, minlength=TABLES * CLASSES).reshape(TABLES, CLASSES)
-        if self.counts.max() > 4 * len(self.last1) + 65536:
-            self.counts = self.counts / 2 + 0.5
-        self.refresh()
-        self.last2[:n] = self.last1[:n]
-        self.last1[:n] = rank
+        # weights: as much more as the model gave the symbol
+        given = [(self.flat[b + symbol + 1] - self.flat[b + symbol]) * w for b, w in zip(self.bases, self.shares, strict=True)]
+        whole = given[0] + given[1] + given[2]
+        left = (1 << WEIGHT) - ((1 << WEIGHT) >> SHARED)
+        for k in (1, 2):
+            self.weights[k, :n] = given[k] * left // whole + ((1 << WEIGHT) >> SHARED) // 3
+        self.weights[0, :n] = (1 << WEIGHT) - self.weights[1, :n] - self.weights[2, :n]
+        self.recent += [t * CLASSES + symbol for t in self.tables]
+        self.steps += 1
+        if self.steps < SETTLED or self.steps % EVERY == 0:
+            at, times = np.unique(np.concatenate(self.recent), return_counts=True)
+            self.counts.ravel()[at] += times
+            some = np.unique(at // CLASSES)
+            full = some[self.counts[some].sum(axis=1) > 65536]
+            self.counts[full] *= 0.5
+            self.refresh(some)
+            self.recent = []
+        self.last2[:n], self.long2[:n] = self.last1[:n], self.long1[:n]
+        self.last1[:n], self.long1[:n] = rank, bits
 
 
 def bit_length(x: np.ndarray) -> np.ndarray:
@@ -116,7 +167,7 @@ def encode_block(ids: np.ndarray, lane: int = LANE) -> bytes:
         rank = grid[t, :n]
         bits = bit_length(rank)
         symbol = np.where(rank == model.guess2, 0, np.where(rank == model.guess1, 1, bits + 2))
-        from_, to = model.cumulative[model.table, symbol], model.cumulative[model.table, symbol + 1]
+        from_, to = model.mixture(symbol), model.mixture(symbol + 1)
         part = width[:n] >> _U(SCALE)
         low[:n] += part * from_.astype(np.uint64)
         part *= (to - from_).astype(np.uint64)
@@ -135,7 +186,7 @@ def encode_block(ids: np.ndarray, lane: int = LANE) -> bytes:
             words[at, put[at]] = (some >> _U(48)).astype(np.uint16)
             put[at] += 1
             low[at], width[at] = some << _U(16), wide << _U(16)
-        model.learn(rank, symbol)
+        model.learn(rank, bits, symbol)
     for k in range(4):
         words[np.arange(lanes), put] = (low >> _U(48)).astype(np.uint16)
         put += 1
@@ -174,9 +225,7 @@ def decode_block(payload: bytes) -> np.ndarray:
         model.look(n)
         part = width[:n] >> _U(SCALE)
         target = np.minimum((code[:n] - low[:n]) // part, _U((1 << SCALE) - 1)).astype(np.int64)
-        slots = model.cumulative + (np.arange(TABLES) << SCALE)[:, None]  # one ascending list for all tables
-        symbol = np.searchsorted(slots[:, 1:].ravel(), target + (model.table << SCALE), "right") - model.table * CLASSES
-        from_, to = model.cumulative[model.table, symbol], model.cumulative[model.table, symbol + 1]
+        symbol, from_, to = model.find(target)
         low[:n] += part * from_.astype(np.uint64)
         part *= (to - from_).astype(np.uint64)
         bits = symbol - 2
@@ -199,7 +248,7 @@ def decode_block(payload: bytes) -> np.ndarray:
             code[need] = (code[need] << _U(16)) | flat[np.minimum(got[need], len(flat) - 1)]
             got[need] += 1
             low[need], width[need] = some << _U(16), wide << _U(16)
-        model.learn(rank, symbol)
+        model.learn(rank, bit_length(rank), symbol)
     ranks = np.ascontiguousarray(grid.T).reshape(-1)[:count]
     if count and (ranks.max() >= n_distinct or ranks.min() < 0):
         raise Damaged("a block holds ids that it does not list")

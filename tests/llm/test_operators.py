@@ -228,6 +228,32 @@ def test_coder_round_trip(n):
             coder.decode_block(bytes(broken))
 
 
+def test_mixture_of_three_orders():
+    rng = np.random.default_rng(3)
+    model = coder.Predictor(50)
+    for _ in range(60):
+        model.look(50)
+        below = np.stack([model.mixture(np.full(50, k)) for k in range(coder.CLASSES + 1)])
+        assert (below[0] == 0).all() and (below[-1] == 1 << coder.SCALE).all() and (np.diff(below, axis=0) >= 1).all()
+        symbol = rng.integers(0, 6, 50)
+        for target in (model.mixture(symbol), model.mixture(symbol + 1) - 1):
+            found, low, high = model.find(target)
+            assert (found == symbol).all() and (low <= target).all() and (target < high).all()
+        assert (model.weights.sum(axis=0) == 1 << coder.WEIGHT).all() and (model.weights > 0).all()
+        rank = rng.integers(0, 30, 50)
+        model.learn(rank, coder.bit_length(rank), symbol)
+
+
+def test_higher_orders_pay():
+    rng = np.random.default_rng(4)
+    follow = rng.integers(0, 60, (60, 60))
+    ids = [1, 2]
+    for _ in range(60_000):
+        ids.append(int(follow[ids[-2], ids[-1]]) if rng.random() < 0.9 else int(rng.integers(0, 60)))
+    chained, shuffled = np.array(ids), rng.permutation(ids)
+    assert len(coder.encode_block(chained, 128)) < 0.5 * len(coder.encode_block(shuffled, 128))
+
+
 def test_token_files(spark, documents, rows, empty, tmp_path):
     from tokenizers import Tokenizer
 

@@ -49,7 +49,7 @@ def main() -> None:
     timed("pack_blocks", lambda: packed.count())
     import numpy as np
 
-    timed("forward_blocks", lambda: drain(products.allreduce_short(products.kernel_forward(packed, 1.0 + np.arange(a.n) % 7, a.m), a.m)))
+    timed("forward_blocks", lambda: drain(products.allreduce_short(products.kernel_forward(packed, x), a.m)))
     timed("transposed_blocks", lambda: drain(products.zone_reduce(products.kernel_transposed(packed, 1.0 + np.arange(a.m) % 5), even.zones)))
     timed("pairs_chained_3", lambda: products.product_pairs(even, x, v, 3))
     for name in ("sweep_imbalance_dense_first", "sweep_zones_dense_first", "profile_dense_first", "w3_forward", "w3_transposed"):

@@ -41,6 +41,21 @@ def part_of_key(borders: Sequence[tuple[int, int]]):
     return part
 
 
+def part_of_key_expression(borders: Sequence[tuple[int, int]]) -> Column:
+    """As part_of_key, of columns col and row, as a search tree of built-in expressions."""
+
+    def within(lo: int, hi: int) -> Column:
+        """The part, known to be from lo to hi."""
+        if lo == hi:
+            return F.lit(lo)
+        middle = (lo + hi) // 2
+        c, r = borders[middle]  # the first key of part middle + 1
+        below = (F.col("col") < c) | ((F.col("col") == c) & (F.col("row") < r))
+        return F.when(below, within(lo, middle)).otherwise(within(middle + 1, hi))
+
+    return within(0, len(borders)).cast("int")
+
+
 @F.pandas_udf(T.DoubleType())
 def dot(a: pd.Series, b: pd.Series) -> float:
     """Inner product as a grouped aggregate."""

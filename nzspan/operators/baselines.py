@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nzspan.session import checkpointed
+from nzspan.session import few_rows, written
 
 from .layout import Distributed, part_bounds, place
 from .matrix import SparseMatrix
@@ -14,7 +14,7 @@ from .matrix import SparseMatrix
 
 def _whole_columns(matrix: SparseMatrix, entries: DataFrame, n_parts: int) -> Distributed:
     placed = place(entries.select("part", "row", "col", "val"), n_parts).persist()
-    parts = checkpointed(part_bounds(placed, matrix.n))
+    parts = few_rows(part_bounds(placed, matrix.n))
     none = matrix.entries.sparkSession.createDataFrame([], "zone int, col long, part_lo int, part_hi int, size int, parity int")
     return Distributed(matrix, n_parts, placed, parts, none)
 
@@ -32,7 +32,7 @@ def partition_columns_balanced(matrix: SparseMatrix, n_parts: int) -> Distribute
     """
     from .matrix import global_rank
 
-    counts = checkpointed(matrix.entries.groupBy("col").agg(F.count(F.lit(1)).alias("nnz")))
+    counts = written(matrix.entries.groupBy("col").agg(F.count(F.lit(1)).alias("nnz")), "counts")
     limit = max(1, matrix.nnz // (8 * n_parts))
     head = counts.where(F.col("nnz") > limit).orderBy(F.col("nnz").desc(), "col").collect()
     load, chosen = np.zeros(n_parts), []

@@ -13,12 +13,18 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nzspan.functions import part_of_key
-from nzspan.session import checkpointed, ship
+from nzspan.functions import part_of_key, part_of_key_expression
+from nzspan.session import checkpointed, few_rows, ship
 
 from .matrix import SparseMatrix, global_rank
 
 
+#: Borders that a search tree of expressions places entries by; more take a vectorised function.
+EXPRESSION = 256
+#: Buckets of columns whose counts tell where borders fall.
+BUCKETS = 65_536
+
+
 @dataclass
 class Distributed:
     """A matrix whose entries lie by part: placed(part, row, col, val), parts and zones. n_parts is at most the number of entries."""
@@ -43,34 +49,36 @@ def even_parts(matrix: SparseMatrix, n_parts: int) -> DataFrame:
 
 
 def border_keys(matrix: SparseMatrix, n_parts: int) -> list[tuple[int, int]]:
-    """First (col, row) of parts 1 to P - 1, without a global sort of the entries.
+    """First (col, row) of parts 1 to P - 1, without a sort of entries or columns.
 
-    Columns' counts, summed along the columns, tell in which column each border falls; only those columns, at most P - 1, are ranked.
+    Counts of up to BUCKETS equal spans of columns, summed on the driver, tell in which span each border falls; counts of the columns of
+    those spans, at most P - 1, tell the column; and only the columns that a border cuts are ranked.
     """
     total = matrix.nnz
     if not total:
         return []
-    starts = [-(-i * total // n_parts) for i in range(1, n_parts)]  # rank of each part's first entry
-    counts = matrix.entries.groupBy("col").agg(F.count(F.lit(1)).alias("n"))
-    ordered = global_rank(counts, "col", name="at")
-    block = F.floor(F.col("at") / 65536)
-    along = Window.partitionBy("block").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
-    summed = ordered.withColumn("block", block).withColumn("upto", F.sum("n").over(along))
-    totals = summed.groupBy("block").agg(F.max("upto").alias("size")).orderBy("block").collect()  # one row for 65,536 columns
-    offsets, before = [], 0
-    for r in totals:
-        offsets.append((r["block"], before))
-        before += r["size"]
     spark = matrix.entries.sparkSession
-    summed = summed.join(F.broadcast(spark.createDataFrame(offsets, "block long, offset long")), "block").withColumn("hi", F.col("offset") + F.col("upto"))
-    summed = summed.withColumn("lo", F.col("hi") - F.col("n"))
-    wanted = spark.createDataFrame([(s,) for s in sorted(set(starts))] or [(-1,)], "start long")
-    cut = summed.join(F.broadcast(wanted), (F.col("start") >= F.col("lo")) & (F.col("start") < F.col("hi"))).select("col", "start", "lo")
+    starts = [-(-i * total // n_parts) for i in range(1, n_parts)]  # rank of each part's first entry
+    width = max(1, -(-matrix.n // BUCKETS))
+    bucket = F.expr(f"col div {width}")
+    counted = matrix.entries.groupBy(bucket.alias("bucket")).agg(F.count(F.lit(1)).alias("n")).collect()  # at most BUCKETS rows
+    keys = np.array(sorted((r["bucket"], r["n"]) for r in counted), np.int64).reshape(-1, 2)
+    upto = np.cumsum(keys[:, 1])
+    at = np.searchsorted(upto, starts, "right")
+    wanted = [(int(keys[k, 0]), int(upto[k] - keys[k, 1]), start) for k, start in zip(at, starts, strict=True)]
+    if not wanted:
+        return []
+    spans = spark.createDataFrame(wanted, "bucket long, before long, start long")
+    held = matrix.entries.select("col", "row", bucket.alias("bucket")).join(F.broadcast(spans.select("bucket", "before").distinct()), "bucket")
+    along = Window.partitionBy("bucket").orderBy("col").rowsBetween(Window.unboundedPreceding, 0)
+    columns = held.groupBy("bucket", "before", "col").agg(F.count(F.lit(1)).alias("n")).withColumn("hi", F.col("before") + F.sum("n").over(along))
+    columns = columns.withColumn("lo", F.col("hi") - F.col("n"))
+    cut = few_rows(columns.join(F.broadcast(spans.select("bucket", "start")), "bucket").where("start >= lo AND start < hi").select("col", "start", "lo"))
     numbered = matrix.entries.select("col", "row").join(F.broadcast(cut.select("col", "lo").distinct()), "col")
     numbered = numbered.withColumn("rank", F.col("lo") + F.row_number().over(Window.partitionBy("col").orderBy("row")) - 1)
-    found = numbered.join(F.broadcast(wanted), numbered["rank"] == wanted["start"]).select("start", "col", "row").collect()  # P - 1 rows
-    at = {r["start"]: (r["col"], r["row"]) for r in found}
-    return [at[s] for s in starts if s in at]
+    found = numbered.join(F.broadcast(cut.select("start")), F.col("rank") == F.col("start")).select("start", "col", "row").collect()  # P - 1 rows
+    by_start = {r["start"]: (r["col"], r["row"]) for r in found}
+    return [by_start[s] for s in starts if s in by_start]
 
 
 def partition_even(matrix: SparseMatrix, n_parts: int, by: str = "rank", zones: str = "window") -> Distributed:
@@ -79,8 +87,13 @@ def partition_even(matrix: SparseMatrix, n_parts: int, by: str = "rank", zones:
     if by == "rank":
         entries = even_parts(matrix, n_parts).drop("rank")
     elif by == "borders":
-        ship(matrix.entries.sparkSession)
-        entries = matrix.entries.withColumn("part", part_of_key(border_keys(matrix, n_parts))("col", "row"))
+        borders = border_keys(matrix, n_parts)
+        if len(borders) < EXPRESSION:
+            part = part_of_key_expression(borders)
+        else:
+            ship(matrix.entries.sparkSession)
+            part = part_of_key(borders)("col", "row")
+        entries = matrix.entries.withColumn("part", part)
     elif by == "range":
         entries = checkpointed(matrix.entries.repartitionByRange(n_parts, "col", "row").withColumn("part", F.spark_partition_id()))
     else:
@@ -90,9 +103,9 @@ def partition_even(matrix: SparseMatrix, n_parts: int, by: str = "rank", zones:
 
 def distribute(matrix: SparseMatrix, entries: DataFrame, n_parts: int, zones: str = "window") -> Distributed:
     """Place entries by their part column, keep them, and find parts and zones."""
-    placed = place(entries, n_parts).sortWithinPartitions("col", "row").persist()
-    parts = checkpointed(part_bounds(placed, matrix.n))
-    return Distributed(matrix, n_parts, placed, parts, checkpointed(setup_zones(placed, parts, zones)))
+    placed = place(entries, n_parts).sortWithinPartitions("part", "col", "row").persist()
+    parts = few_rows(part_bounds(placed, matrix.n))
+    return Distributed(matrix, n_parts, placed, parts, few_rows(setup_zones(placed, parts, zones)))
 
 
 def part_bounds(placed: DataFrame, n: int) -> DataFrame:

@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from nzspan.functions import tokens
-from nzspan.session import checkpointed
+from nzspan.session import written
 from nzspan.sources import as_entries
 
 
@@ -53,7 +53,7 @@ def global_rank(df: DataFrame, *keys: str | Column, name: str = "rank") -> DataF
     partitions' sizes give the rank. The numbered rows are written once, as a range shuffle run anew may cut elsewhere.
     """
     spread = df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("_at", F.monotonically_increasing_id())
-    spread = checkpointed(spread)
+    spread = written(spread, "ranked")
     task = F.shiftright("_at", 33)
     sizes = spread.groupBy(task.alias("_task")).agg(F.count(F.lit(1)).alias("n")).orderBy("_task").collect()  # one row for each partition
     offsets, total = [], 0
@@ -96,7 +96,7 @@ def index_labels(counts: DataFrame, order: str = "dense_first") -> DataFrame:
 
 def label_matrix(counts: DataFrame, order: str, m: int) -> SparseMatrix:
     """A matrix of counts(row, term, val), its terms placed in the given order."""
-    index = checkpointed(index_labels(counts, order))
+    index = index_labels(counts, order)
     return SparseMatrix(counts.join(index, "term").select("row", "col", "val"), m, index.count())
 
 
@@ -159,10 +159,18 @@ def col_stats(e: DataFrame) -> DataFrame:
     return e.groupBy("col").agg(F.count(F.lit(1)).alias("nnz"), F.sum("val").alias("total"), F.sum(F.col("val") * F.col("val")).alias("square"))
 
 
-def gram(e: DataFrame) -> DataFrame:
-    """A times its transpose, for a matrix with few rows."""
-    other = e.select(F.col("row").alias("other"), "col", F.col("val").alias("w"))
-    return e.join(other, "col").groupBy("row", "other").agg(F.sum(F.col("val") * F.col("w")).alias("val"))
+def gram(e: DataFrame, block: int = 1024) -> DataFrame:
+    """A times its transpose, for a matrix with few rows.
+
+    Entries meet by column and by pairs of blocks of rows, so that a dense column's pairs are dealt to many tasks; its result has up
+    to the square of the rows, as the matrix asked for has.
+    """
+    last = e.agg(F.max(F.floor(F.col("row") / block))).first()[0] or 0
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(last).cast("long")))
+    own = F.floor(F.col("row") / block)
+    left = e.select("row", "col", "val", own.alias("one"), every.alias("two"))
+    right = e.select(F.col("row").alias("other"), "col", F.col("val").alias("w"), every.alias("one"), own.alias("two"))
+    return left.join(right, ["col", "one", "two"]).groupBy("row", "other").agg(F.sum(F.col("val") * F.col("w")).alias("val"))
 
 
 def outer(v: DataFrame, x: DataFrame) -> DataFrame:

@@ -6,30 +6,36 @@ import time
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from nzspan.session import ship
+from nzspan.session import checkpointed, release, ship
 
-from .layout import Distributed
+from .layout import Distributed, place
 from .matrix import SparseMatrix
 
-#: Rows of a short vector that may be broadcast; beyond it joins shuffle.
-SHORT_LIMIT = 50_000_000
+#: Bytes of a short vector, two numbers a row, that may be broadcast; beyond them joins shuffle.
+SHORT_BYTES = 256 << 20
 #: Entries of a packed block.
 BLOCK = 1 << 20
 
 
 def replicated(vector: DataFrame, m: int) -> DataFrame:
-    """A short vector for every task, while it has at most SHORT_LIMIT rows."""
-    return F.broadcast(vector) if m <= SHORT_LIMIT else vector
+    """A short vector for every task, while its m rows take at most SHORT_BYTES."""
+    return F.broadcast(vector) if 16 * m <= SHORT_BYTES else vector
+
+
+def short_frame(spark: SparkSession, values: np.ndarray, name: str = "v") -> DataFrame:
+    """(row, name) of an array on the driver, handed over as Arrow."""
+    values = np.asarray(values, float)
+    return spark.createDataFrame(pa.table({"row": np.arange(len(values)), name: values}))
 
 
 # --- forward
 
 
 def forward_local(d: Distributed, x: DataFrame) -> DataFrame:
-    """(part, row, partial) from x(part, col, x) in the overlapped layout, part by part."""
+    """(part, row, partial) from x(part, col, x) in the overlapped layout, part by part; nothing moves, as x is placed like the entries."""
     met = d.placed.join(x.select("part", "col", "x"), ["part", "col"])
     return met.groupBy("part", "row").agg(F.sum(F.col("val") * F.col("x")).alias("partial"))
 
@@ -72,20 +78,21 @@ def forward(d: Distributed, x: DataFrame, method: str = "flat", fanout: int = 4)
 # --- transposed
 
 
-def transposed_local(d: Distributed, v: DataFrame) -> DataFrame:
-    """(part, col, u) of each part from v(row, v)."""
-    met = d.placed.join(replicated(v, d.matrix.m), "row")
+def transposed_local(d: Distributed, v: DataFrame, zones_only: bool = False) -> DataFrame:
+    """(part, col, u) of each part from v(row, v); zones_only: of the shared columns, fewer than parts, which are broadcast."""
+    entries = d.placed.join(F.broadcast(d.zones.select("col")), "col", "left_semi") if zones_only else d.placed
+    met = entries.join(replicated(v, d.matrix.m), "row")
     return met.groupBy("part", "col").agg(F.sum(F.col("val") * F.col("v")).alias("u"))
 
 
-def zone_reduce(local: DataFrame, zones: DataFrame, mode: str = "single") -> DataFrame:
+def zone_reduce(local: DataFrame, zones: DataFrame, mode: str = "single", shared: DataFrame | None = None) -> DataFrame:
     """local(part, col, u) with the sums over zones in place of their parts' shares, and is_home on the lowest part of each.
 
     Zones are fewer than parts, so they and their sums are broadcast. even_odd sums in two rounds, in each of which no part is
-    in two zones; single takes all at once, as a shuffle has no conflict between them.
+    in two zones; single takes all at once, as a shuffle has no conflict between them. shared: what local has on zones, where that is
+    cheaper to get than local as a whole; without it local is computed twice unless it is kept.
     """
-    local = local.persist()
-    shared = local.join(F.broadcast(zones), "col").select("zone", "parity", "col", "part_lo", "u")
+    shared = (local if shared is None else shared).join(F.broadcast(zones), "col").select("zone", "parity", "col", "part_lo", "u")
     rounds = [shared] if mode == "single" else [shared.where("parity = 0"), shared.where("parity = 1")]
     sums = None
     for one in rounds:
@@ -97,8 +104,8 @@ def zone_reduce(local: DataFrame, zones: DataFrame, mode: str = "single") -> Dat
 
 
 def transposed(d: Distributed, v: DataFrame, mode: str = "single") -> DataFrame:
-    """(part, col, u, is_home) in the overlapped layout; columns that v does not meet are left out."""
-    return zone_reduce(transposed_local(d, v), d.zones, mode)
+    """(part, col, u, is_home) in the overlapped layout; columns that v does not meet are left out. Nothing is kept."""
+    return zone_reduce(transposed_local(d, v), d.zones, mode, transposed_local(d, v, zones_only=True))
 
 
 # --- plain relational products
@@ -149,7 +156,7 @@ def pack_blocks(d: Distributed, max_entries: int = BLOCK) -> DataFrame:
             yield block()
 
     ordered = d.placed.select("part", "row", "col", "val").sortWithinPartitions("part", "col", "row")
-    return ordered.mapInArrow(pack, BLOCKS)
+    return place(ordered.mapInArrow(pack, BLOCKS), d.n_parts)
 
 
 def _runs(keys: np.ndarray, most: int):
@@ -160,21 +167,27 @@ def _runs(keys: np.ndarray, most: int):
             yield lo, min(b, lo + most)
 
 
-def kernel_forward(blocks: DataFrame, x: np.ndarray, m: int) -> DataFrame:
-    """(part, row, partial) of packed blocks, by vector arithmetic. x: a dense array, to be had by every task."""
+def kernel_forward(blocks: DataFrame, x: DataFrame) -> DataFrame:
+    """(part, row, partial) of packed blocks from x(part, col, x), by vector arithmetic; each part gets its own slice of x."""
     ship(blocks.sparkSession)
-    held = blocks.sparkSession.sparkContext.broadcast(np.asarray(x, float))
+    packed = x.groupBy("part").agg(F.array_sort(F.collect_list(F.struct("col", "x"))).alias("own"))
+    met = blocks.join(packed.select("part", F.col("own.col").alias("x_cols"), F.col("own.x").alias("x_vals")), "part")
 
     def run(batches):
+        names = ("col_ids", "col_ptr", "row_ids", "vals", "x_cols", "x_vals")
         for batch in batches:
             for i in range(batch.num_rows):
-                ids, ptr, rows, vals = (batch.column(c)[i].values.to_numpy() for c in ("col_ids", "col_ptr", "row_ids", "vals"))
-                y = np.bincount(rows, np.repeat(held.value[ids], np.diff(ptr)) * vals, minlength=m)
-                at = np.unique(rows)
-                part = np.full(len(at), batch.column("part")[i].as_py(), np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(at), pa.array(y[at])], names=["part", "row", "partial"])
+                ids, ptr, rows, vals, cols, values = (batch.column(c)[i].values.to_numpy() for c in names)
+                at = np.minimum(np.searchsorted(cols, ids), max(len(cols) - 1, 0))
+                known = cols[at] == ids if len(cols) else np.zeros(len(ids), bool)
+                size = np.diff(ptr)
+                taken = np.repeat(known, size)
+                held, place = np.unique(rows[taken], return_inverse=True)
+                y = np.bincount(place, np.repeat(np.where(known, values[at] if len(cols) else 0.0, 0.0), size)[taken] * vals[taken], minlength=len(held))
+                part = np.full(len(held), batch.column("part")[i].as_py(), np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(held), pa.array(y)], names=["part", "row", "partial"])
 
-    return blocks.mapInArrow(run, "part int, row long, partial double")
+    return met.mapInArrow(run, "part int, row long, partial double")
 
 
 def kernel_transposed(blocks: DataFrame, v: np.ndarray) -> DataFrame:
@@ -215,12 +228,13 @@ def product_pairs(d: Distributed, x: DataFrame, v: DataFrame, repeats: int, mode
     for _ in range(repeats):
         began = time.perf_counter()
         y_dense = dense(forward(d, x), "row", "y", d.matrix.m)
-        y = spark.createDataFrame(list(enumerate(y_dense.tolist())), "row long, y double")
+        y = short_frame(spark, y_dense, "y")
         if mode == "chained":
             peak = np.abs(y_dense).max() or 1.0
-            v = spark.createDataFrame(list(enumerate((y_dense / peak).tolist())), "row long, v double")
-        u = transposed(d, v).persist()
-        u.count()
+            v = short_frame(spark, y_dense / peak)
+        before, u = u, checkpointed(transposed(d, v))  # keeps its placement, and no lineage
+        if before is not None:
+            release(before)
         if mode == "chained":
             x = u.select("part", "col", F.col("u").alias("x"))
         seconds.append(time.perf_counter() - began)

@@ -12,11 +12,11 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nzspan.session import checkpointed
+from nzspan.session import checkpointed, release
 
 from . import vectors
 from .layout import Distributed
-from .products import dense, forward, transposed
+from .products import dense, forward, short_frame, transposed
 
 
 @dataclass
@@ -42,12 +42,14 @@ class Pair:
         return dense(forward(self.d, x), "row", "y", self.d.matrix.m)
 
     def transposed(self, v: np.ndarray) -> DataFrame:
-        short = self.spark.createDataFrame([(i, float(a)) for i, a in enumerate(v)], "row long, v double")
-        return transposed(self.d, short).withColumnRenamed("u", "x")
+        return transposed(self.d, short_frame(self.spark, v)).withColumnRenamed("u", "x")
 
     def normal(self, w: np.ndarray) -> np.ndarray:
         """A times A transposed times w."""
-        return self.forward(checkpointed(self.transposed(w)))
+        u = checkpointed(self.transposed(w))
+        y = self.forward(u)
+        release(u)
+        return y
 
 
 def conjugate_gradient(d: Distributed, b: np.ndarray, ridge: float = 1.0, tol: float = 1e-8, max_iter: int = 50) -> Trace:

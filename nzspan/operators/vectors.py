@@ -5,22 +5,31 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .layout import Distributed
+from .layout import Distributed, place
 
 
 def spread(vector: DataFrame, d: Distributed) -> DataFrame:
-    """vector(col, x) laid out over the parts; the lowest part of a zone is its coefficient's home."""
+    """vector(col, x) laid out over the parts; the lowest part of a zone is its coefficient's home.
+
+    Only the vector moves: to where the entries lie, by the same placement, so that products and vector operations join in place.
+    """
     held = d.placed.select("part", "col").distinct()
-    laid = held.join(vector, "col").join(F.broadcast(d.zones.select("col", "part_lo")), "col", "left")
-    return laid.select("part", "col", "x", (F.col("part_lo").isNull() | (F.col("part") == F.col("part_lo"))).alias("is_home"))
+    return spread_cover(vector, d).join(held, ["part", "col"])  # held has each place once; a semi join would be moved below the placement
 
 
 def spread_cover(vector: DataFrame, d: Distributed) -> DataFrame:
-    """As spread, but columns without entries have a place too, by the parts' covers; the parts are broadcast."""
-    cover = F.broadcast(d.parts.select("part", "cover_lo", "cover_hi"))
-    laid = vector.join(cover, (F.col("col") >= F.col("cover_lo")) & (F.col("col") <= F.col("cover_hi")))
+    """As spread, but columns without entries have a place too, by the parts' covers.
+
+    Covers are told by equal spans of columns, four to a part, so that a column meets only parts whose cover is in its span; these are at
+    most five rows for each part, and broadcast.
+    """
+    width = max(1, d.matrix.n // max(1, 4 * d.n_parts))
+    spans = F.explode(F.sequence(F.expr(f"cover_lo div {width}"), F.expr(f"cover_hi div {width}")))
+    cover = F.broadcast(d.parts.select("part", "cover_lo", "cover_hi", spans.alias("_span")))
+    laid = vector.withColumn("_span", F.expr(f"col div {width}")).join(cover, "_span").where("col >= cover_lo AND col <= cover_hi")
     laid = laid.join(F.broadcast(d.zones.select("col", "part_lo")), "col", "left")
-    return laid.select("part", "col", "x", (F.col("part_lo").isNull() | (F.col("part") == F.col("part_lo"))).alias("is_home"))
+    laid = laid.select("part", "col", "x", (F.col("part_lo").isNull() | (F.col("part") == F.col("part_lo"))).alias("is_home"))
+    return place(laid, d.n_parts)
 
 
 def gather(vector: DataFrame, value: str = "x") -> DataFrame:

@@ -57,11 +57,27 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
-    """df, written to the shared folder and cut from its lineage."""
+    """df, written to the shared folder and cut from its lineage; it keeps its placement."""
     shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+def release(df: DataFrame) -> None:
+    """Delete the files of a checkpointed DataFrame that nothing reads any more."""
+    spark = df.sparkSession
+    for rdd in _checkpoints(df._jdf.queryExecution().logical()):
+        where = spark._jvm.org.apache.hadoop.fs.Path(rdd)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def _checkpoints(plan) -> list[str]:
+    """Folders that a plan's own leaf was checkpointed to."""
+    if plan.getClass().getSimpleName() != "LogicalRDD":
+        return []
+    file = plan.rdd().getCheckpointFile()
+    return [file.get()] if file.isDefined() else []
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df, written as Parquet into the shared folder and read again; columns keep their statistics."""
     import uuid
@@ -73,6 +89,11 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def few_rows(df: DataFrame) -> DataFrame:
+    """df, of as many rows as there are parts at most, held by the driver, so that its size is known to all plans that read it."""
+    return df.sparkSession.createDataFrame(df.collect(), df.schema)
+
+
 def discard(*tables: DataFrame) -> None:
     """Delete the files of tables from written(); only once nothing that is still to run reads them."""
     for df in tables:

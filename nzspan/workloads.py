@@ -16,7 +16,7 @@ from nzspan import plans
 from nzspan.operators import baselines, generators, layout, matrix, products, solvers, vectors
 from nzspan.operators.layout import Distributed
 from nzspan.operators.matrix import SparseMatrix
-from nzspan.session import checkpointed
+from nzspan.session import checkpointed, written
 from nzspan.sources import load_table
 
 P = 8
@@ -85,8 +85,8 @@ def get_matrix(spark: SparkSession, sf_dir: str, name: str) -> SparseMatrix:
             docs = load_table(spark, sf_dir, "documents", "doc_id", "text")
             m = docs.agg(F.max("doc_id")).first()[0] + 1
             counts = matrix.ngram_counts(docs) if name == "bigrams" else matrix.term_counts(docs)
-            found = matrix.label_matrix(checkpointed(counts), "dense_first" if name == "bigrams" else name, m)
-        return SparseMatrix(checkpointed(found.entries), found.m, found.n)
+            found = matrix.label_matrix(written(counts, "counts"), "dense_first" if name == "bigrams" else name, m)
+        return SparseMatrix(written(found.entries, "matrix"), found.m, found.n)
 
     return kept(spark, sf_dir, f"matrix {name}", make)
 
@@ -247,15 +247,15 @@ def _blocks(s, d):
 
 @query("forward_blocks", ENTRIES["dense_first"] + _FORWARD)
 def _(spark, sf_dir):
-    m = get_matrix(spark, sf_dir, "dense_first")
-    partials = products.kernel_forward(_blocks(spark, sf_dir), 1.0 + np.arange(m.n) % 7, m.m)
-    return _whole(products.allreduce_short(partials, m.m), "row", "y")
+    d = get_even(spark, sf_dir)
+    partials = products.kernel_forward(_blocks(spark, sf_dir), _x(d))
+    return _whole(products.allreduce_short(partials, d.matrix.m), "row", "y")
 
 
 @query("transposed_blocks", ENTRIES["dense_first"] + _TRANSPOSED)
 def _(spark, sf_dir):
     d = get_even(spark, sf_dir)
-    local = products.kernel_transposed(_blocks(spark, sf_dir), 1.0 + np.arange(d.matrix.m) % 5)
+    local = kept(spark, sf_dir, "blocks local", lambda: products.kernel_transposed(_blocks(spark, sf_dir), 1.0 + np.arange(d.matrix.m) % 5).persist())
     return _whole(vectors.gather(products.zone_reduce(local, d.zones), "u"), "col", "u")
 
 

@@ -100,6 +100,57 @@ def test_placement_costs_no_second_shuffle(spark):
     assert "Exchange hashpartitioning" not in above and "BroadcastHashJoin" in above
 
 
+def test_long_vectors_meet_entries_in_place(spark):
+    d = layout.partition_even(generators.random_matrix(spark, 40, 60), 8)
+    key = "spark.sql.autoBroadcastJoinThreshold"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "-1")
+    try:
+        x = spread(d, range(60)).persist()
+        x.count()
+        other = vectors.scale(2.0, x).persist()
+        other.count()
+        for df in (products.forward_local(d, x), vectors.axpy(3.0, x, other), vectors.dot(x, other)):
+            plan = df._jdf.queryExecution().executedPlan().toString().split("InMemoryRelation")[0]
+            assert "SortMergeJoin" in plan and "Exchange hashpartitioning" not in plan and "passthrough" not in plan
+        # only the vector is shuffled to be laid out
+        plan = spread(d, range(60))._jdf.queryExecution().executedPlan().toString().split("InMemoryRelation")[0]
+        assert plan.count("Exchange shufflepartitionidpassthrough") == 1 and "Exchange hashpartitioning" not in plan
+    finally:
+        spark.conf.set(key, before)
+        for df in (x, other):
+            df.unpersist()
+
+
+def test_pairs_leave_nothing_behind(spark):
+    d = layout.partition_even(generators.random_matrix(spark, 12, 30), 3)
+    x, v = spread(d, np.ones(30)), short(d, np.ones(12))
+    held = lambda: spark.sparkContext._jsc.sc().getPersistentRDDs().size()
+    before = held()
+    y, u, seconds = products.product_pairs(d, x, v, 5)
+    assert held() == before and len(seconds) == 5
+    rows, cols, vals = arrays(d.matrix)
+    want_x, want_v = np.ones(30), None
+    for _ in range(5):
+        want = baselines.forward_serial(rows, cols, vals, want_x, 12)
+        want_x = baselines.transposed_serial(rows, cols, vals, want / want.max(), 30)
+    assert np.allclose(by_key(y, "row", "y", 12), want) and np.allclose(by_key(vectors.gather(u, "u"), "col", "u", 30), want_x)
+
+
+def test_gram(spark):
+    a = generators.random_matrix(spark, 12, 30)
+    rows, cols, vals = arrays(a)
+    full = np.zeros((12, 30))
+    full[rows, cols] = vals
+    from nzspan.operators.matrix import gram
+
+    for block in (1024, 5):
+        got = np.zeros((12, 12))
+        for r in gram(a.entries, block).collect():
+            got[r["row"], r["other"]] = r["val"]
+        assert np.allclose(got, full @ full.T)
+
+
 def test_operator_laws():
     rng = np.random.default_rng(2)
     for _ in range(200):

@@ -52,6 +52,29 @@ def fold_bucket(doc_id: Column, folds: int = 5) -> Column:
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(folds))
 
 
+def give_back() -> None:
+    """Return to the system what this process has freed; idle workers stay alive beside those of the next stage."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def frugal(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """run, a function over a task's batches, that gives memory back after the last one."""
+
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        give_back()
+
+    return whole
+
+
 def arrow_map(df: DataFrame, make: Callable[[], Callable[[dict], dict]], schema: str | T.StructType, rows: int = ROWS) -> DataFrame:
     """Map slices of `rows` rows, given as columns, to columns. make() runs once per task and builds the state."""
     from pyspark.sql.pandas.types import to_arrow_schema
@@ -66,7 +89,7 @@ def arrow_map(df: DataFrame, make: Callable[[], Callable[[dict], dict]], schema:
             if got is not None:
                 yield pa.RecordBatch.from_arrays([as_array(got[f.name], f.type) for f in target], schema=target)
 
-    return df.mapInArrow(run, struct)
+    return df.mapInArrow(frugal(run), struct)
 
 
 def as_array(values, kind: pa.DataType) -> pa.Array:

@@ -268,7 +268,7 @@ def train(documents: DataFrame, v: Vocabulary, states: int = STATES, passes: int
             some = np.flatnonzero(rows.any(axis=1))
             yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), *[pa.array(rows[some, k]) for k in range(states)]], names=["i", *names])
 
-        found = encoded.mapInArrow(run, "i int, " + ", ".join(f"{n} double" for n in names))
+        found = encoded.mapInArrow(common.frugal(run), "i int, " + ", ".join(f"{n} double" for n in names))
         # a row for each state and class at most, and one for the likelihood
         total = found.groupBy("i").agg(*[F.sum(n).alias(n) for n in names]).toPandas().sort_values("i")
         rows = np.zeros((2 + states + size, states))
@@ -321,7 +321,7 @@ def score_documents(documents: DataFrame, held_out: Column, states: int = STATES
             row += len(read)
 
     schema = "row long, doc_id long, held_out boolean, n_tokens long, known long, known_log double, score double, rare array<struct<word:binary,times:long>>"
-    scored = written(documents.mapInArrow(run, schema), "markov-scored")
+    scored = written(documents.mapInArrow(common.frugal(run), schema), "markov-scored")
     rare = scored.select("row", F.explode("rare").alias("r")).select("row", "r.word", "r.times")
     met = rare.join(counts, "word", "left")
     log = F.col("times") * F.log10(F.coalesce("c", F.lit(0)) + 0.5)

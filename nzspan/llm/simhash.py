@@ -164,7 +164,7 @@ def fingerprint_links(prints: DataFrame, radius: int = RADIUS, block: int = BLOC
         if held and len(held[0]):
             yield _links_of(held[0], np.array([0, len(held[0])]), radius)
 
-    return met.mapInArrow(run, "a long, b long").distinct()
+    return met.mapInArrow(common.frugal(run), "a long, b long").distinct()
 
 
 def _links_of(rows: pd.DataFrame, cuts: np.ndarray, radius: int) -> pa.RecordBatch:

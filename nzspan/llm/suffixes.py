@@ -380,7 +380,7 @@ def repeated_spans(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
         if held and held["gram"]:
             yield _compare(held, length, reach, hasher, second)
 
-    spans = written(suffixes.mapInArrow(compare, SPANS), "suffix-spans")
+    spans = written(suffixes.mapInArrow(common.frugal(compare), SPANS), "suffix-spans")
     discard(again)
     met = spans.where("h1 IS NOT NULL").groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("times"), F.collect_list(F.when(F.col("start") >= 0, F.struct("doc", "mark", "start", "stop"))).alias("own")).where("times > 1")
     across = met.select(F.explode("own").alias("o")).select("o.*")

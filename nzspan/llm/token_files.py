@@ -113,7 +113,7 @@ def write_token_files(documents: DataFrame, path: str, tokenizer: str | None = N
         if docs:
             yield record()
 
-    ordered.mapInArrow(run, SCHEMA).write.parquet(path)
+    ordered.mapInArrow(common.frugal(run), SCHEMA).write.parquet(path)
 
 
 def read_token_files(spark: SparkSession, path: str) -> DataFrame:

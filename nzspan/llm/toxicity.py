@@ -19,7 +19,7 @@ reads every window of every text.
 from __future__ import annotations
 
 import math
-from collections import Counter
+import zlib
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -43,8 +43,8 @@ LEAST, WIDE, WIDEST = 50, 48, 20
 THRESHOLDS = range(2, 11)
 #: Text around each window.
 FRAME = b"0123456789abcdef"
-#: Remembered windows of a worker.
-MEMORY = 300_000
+#: Remembered windows of a worker; places that mark runs of windows as seen.
+MEMORY, SEEN = 150_000, 1 << 24
 
 
 def windows_of(text: str | None) -> list[bytes]:
@@ -92,6 +92,10 @@ def compressed_lengths(content: bytes):
     return lengths
 
 
+def in_turns(lengths, windows: list[bytes], most: int = 20_000) -> np.ndarray:
+    return np.concatenate([lengths(windows[lo : lo + most]) for lo in range(0, max(1, len(windows)), most)])
+
+
 @dataclass
 class Model:
     toxic: bytes
@@ -106,9 +110,7 @@ class Model:
             if len(memo) >= MEMORY:
                 memo.clear()
             missing = list({w for t in texts for w in t if w not in memo})
-            for lo in range(0, len(missing), 50_000):
-                some = missing[lo : lo + 50_000]
-                memo.update(zip(some, np.clip(theirs(some) - ours(some), -WIDEST, WIDEST).tolist(), strict=True))
+            memo.update(zip(missing, np.clip(in_turns(theirs, missing) - in_turns(ours, missing), -WIDEST, WIDEST).tolist(), strict=True))
             return [np.fromiter(map(memo.__getitem__, t), np.int64, len(t)) for t in texts]
 
         return differences
@@ -137,13 +139,14 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.01) -> np.ndarray:
 
 def one_of_copies(texts: list[list[bytes]]) -> list[list[bytes]]:
     """Texts of which at least half the runs of five windows are in none before."""
-    seen: set[int] = set()
+    seen = bytearray(SEEN)  # marks by hash: a few runs count as seen that were not
     out = []
     for t in texts:
-        runs = {hash(tuple(t[k : k + 5])) for k in range(max(1, len(t) - 4))}
-        if 2 * len(runs & seen) <= len(runs):
+        runs = {zlib.crc32(b"".join(t[k : k + 5])) % SEEN for k in range(max(1, len(t) - 4))}
+        if 2 * sum(seen[r] for r in runs) <= len(runs):
             out.append(t)
-        seen |= runs
+        for r in runs:
+            seen[r] = 1
     return out
 
 
@@ -187,7 +190,8 @@ def least_difference(toxic: np.ndarray, ordinary: np.ndarray, need: float) -> in
 def fit(toxic: list[str], ordinary: list[str], need: tuple[float, ...] = NEED, sizes: tuple[int, ...] = SIZES) -> Model:
     """A model from texts of either class; one that scores all texts by the share of toxic ones if a class is empty."""
     none = np.zeros(2 + len(THRESHOLDS))
-    groups = [one_of_copies([windows_of(t) for t in dict.fromkeys(texts)]) for texts in (toxic, ordinary)]
+    same: dict[bytes, bytes] = {}  # every window is held once
+    groups = [one_of_copies([[same.setdefault(w, w) for w in windows_of(t)] for t in dict.fromkeys(texts)]) for texts in (toxic, ordinary)]
     if not all(any(g) for g in groups):
         none[0] = math.log((len(toxic) + 0.5) / (len(ordinary) + 0.5)) if toxic or ordinary else -1.0
         return Model(b"", b"", none)
@@ -206,7 +210,7 @@ def fit(toxic: list[str], ordinary: list[str], need: tuple[float, ...] = NEED, s
     for r in range(len(need) + 1):
         apart = []
         for k in range(folds):
-            near, far = (compressed_lengths(content)(words) for content in dictionaries[k])
+            near, far = (in_turns(compressed_lengths(content), words) for content in dictionaries[k])
             apart.append(np.clip(far - near, -WIDEST, WIDEST))
         x = np.array([features(apart[i % folds][t]) for c in (ours, theirs) for i, t in enumerate(c.numbers)])
         model = Model(*dictionaries[None], logistic(x, y))

@@ -83,7 +83,7 @@ ORDERS = {
     "dense_first": lambda: (F.col("nnz").desc(), F.col("term").asc()),
     "native": lambda: (F.col("first_row").asc(), F.col("term").asc()),
     "label": lambda: (F.col("term").asc(),),
-    "hashed": lambda: (F.xxhash64("term").asc(), F.col("term").asc()),
+    "hashed": lambda: (F.md5(F.col("term").cast("binary")).asc(), F.col("term").asc()),
     "dense_last": lambda: (F.col("nnz").asc(), F.col("term").asc()),
 }
 

@@ -75,6 +75,13 @@ def complete(vector: DataFrame, n: int, value: str = "x") -> DataFrame:
     return every.join(vector, "col", "left").select("col", F.coalesce(value, F.lit(0.0)).alias(value))
 
 
+def vector_imbalance(d: Distributed) -> DataFrame:
+    """One row (stored_ratio, home_ratio): the most coefficients of a part, stored or at home, by the mean over parts."""
+    balance = vector_balance(d)
+    ratio = lambda c: F.round(F.max(c) * F.count(F.lit(1)) / F.sum(c), 4)
+    return balance.agg(ratio("stored").alias("stored_ratio"), ratio("home").alias("home_ratio"))
+
+
 def vector_balance(d: Distributed) -> DataFrame:
     """(part, stored, home): coefficients that each part stores, and those whose home it is."""
     laid = d.placed.select("part", "col").distinct().join(F.broadcast(d.zones.select("col", "part_lo")), "col", "left")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import time
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, Window
@@ -10,6 +11,7 @@ from pyspark.sql import functions as F
 
 from nzspan.operators.layout import Distributed
 from nzspan.operators.matrix import SparseMatrix, global_rank
+from nzspan.operators.products import SHORT_BYTES, forward, transposed
 from nzspan.session import checkpointed
 
 PARTS = tuple(2**k for k in range(10))
@@ -70,6 +72,44 @@ def profile(matrix: SparseMatrix) -> DataFrame:
     return one.crossJoin(F.broadcast(top))
 
 
+def max_error(got: DataFrame, exact: DataFrame, key: str, value: str) -> DataFrame:
+    """One row (compared, max_abs, max_rel): the largest difference of two vectors, a missing value being 0, and by the largest exact value."""
+    other = exact.select(key, F.col(value).alias("_exact"))
+    both = got.select(key, F.col(value).alias("_got")).join(other, key, "full_outer").na.fill(0.0, ["_got", "_exact"])
+    gap = F.max(F.abs(F.col("_got") - F.col("_exact")))
+    return both.agg(F.count(F.lit(1)).alias("compared"), gap.alias("max_abs"), (gap / F.greatest(F.max(F.abs("_exact")), F.lit(1e-300))).alias("max_rel"))
+
+
+def identity_gap(d: Distributed, x: DataFrame, v: DataFrame) -> DataFrame:
+    """One row (v_ax, va_x, gap): v times (A x), and (v A) times x with each coefficient counted at its home; they are equal."""
+    y = forward(d, x).join(v, "row").agg(F.sum(F.col("y") * F.col("v")).alias("v_ax"))
+    u = transposed(d, v).where("is_home").join(x.select("part", "col", "x"), ["part", "col"]).agg(F.sum(F.col("u") * F.col("x")).alias("va_x"))
+    return y.crossJoin(u).withColumn("gap", F.abs(F.col("v_ax") - F.col("va_x")))
+
+
+def setup_ratio(d: Distributed, v: DataFrame, repeats: int = 3) -> DataFrame:
+    """One row (setup_s, product_s, ratio): the least seconds of a whole zone setup and of a transposed product."""
+    from nzspan.operators.layout import setup_zones
+    from nzspan.sources import drain
+
+    def least(run) -> float:
+        took = []
+        for _ in range(repeats):
+            began = time.perf_counter()
+            run()
+            took.append(time.perf_counter() - began)
+        return min(took)
+
+    setup, product = least(lambda: setup_zones(d.placed, d.parts).collect()), least(lambda: drain(transposed(d, v)))
+    return d.placed.sparkSession.createDataFrame([(setup, product, setup / product)], "setup_s double, product_s double, ratio double")
+
+
+def speed_ups(seconds: dict[int, float]) -> list[tuple[int, float, float, float]]:
+    """(cores, seconds, speed-up, efficiency) against the least number of cores."""
+    least = min(seconds)
+    return [(c, s, seconds[least] / s, seconds[least] * least / (s * c)) for c, s in sorted(seconds.items())]
+
+
 def moved_values(d: Distributed, scheme: str) -> DataFrame:
     """(scheme, forward_values, transposed_values): partial short values of all parts, and values summed in zones."""
     ahead = d.placed.select("part", "row").distinct().agg(F.count(F.lit(1)).alias("forward_values"))
@@ -113,7 +153,7 @@ class Choice:
     kernel: str
 
 
-def choose(s: Stats, n_parts: int, span_delta_pct: float, short_limit: int = 50_000_000) -> Choice:
+def choose(s: Stats, n_parts: int, span_delta_pct: float, short_limit: int = SHORT_BYTES // 16) -> Choice:
     """A plan for products: spans of columns do where their imbalance is small; short vectors are broadcast while they may be; arrays of
     partial sums pay where parts meet most rows; packed columns pay where columns are long."""
     m, n = min(s.m, s.n), max(s.m, s.n)

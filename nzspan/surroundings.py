@@ -44,9 +44,8 @@ def _long(df: DataFrame) -> DataFrame:
 both("src_parquet", "SELECT n_nationkey, n_name, n_regionkey FROM nation")
 query("mx_supplier_part", _E + " SELECT row, col, val FROM e")(lambda s, d: _long(_entries(s, d)))
 query("mx_order_part", ENTRIES["tall"] + " SELECT row, col, val FROM e")(lambda s, d: _long(get_matrix(s, d, "tall").entries))
-query("mx_user_type", "SELECT user_id AS row, CAST(length(event_type) AS BIGINT) AS col, count(*) AS val FROM events GROUP BY 1, 2")(
-    lambda s, d: _long(matrix.pair_matrix(load_table(s, d, "events"), "user_id", F.length("event_type"), F.lit(1.0)))
-)
+query("mx_user_type", ENTRIES["user_type"] + " SELECT row, col, val FROM e")(lambda s, d: _long(get_matrix(s, d, "user_type").entries))
+query("mx_brand_order", ENTRIES["brand_order"] + " SELECT row, col, val FROM e")(lambda s, d: _long(get_matrix(s, d, "brand_order").entries))
 query("mx_customer_part", "SELECT o_custkey AS row, l_partkey AS col, CAST(sum(l_quantity) AS BIGINT) AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2")(
     lambda s, d: _long(matrix.pair_matrix(load_table(s, d, "lineitem").join(load_table(s, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey")), "o_custkey", "l_partkey", "l_quantity"))
 )
@@ -237,7 +236,7 @@ query("st_transposed", "SELECT l_partkey AS col, CAST(sum(l_quantity * (1 + l_su
 query("st_col_counts", "SELECT l_partkey AS col, count(*) AS nnz FROM lineitem GROUP BY 1")(lambda s, d: streaming.finish(streaming.running_counts(_stream_entries(s, d))))
 
 # remaining tables as matrices
-for _name, _table, _row, _text in (("w11_pages", "pages", "page_id", "html"), ("w11_conversations", "conversations", "conv_id", "text"), ("w11_benchmark", "benchmark", "item_id", "text")):
+for _name, _table, _row, _text in (("w11_pages_tokens", "pages", "page_id", "html"), ("w11_conversations_tokens", "conversations", "conv_id", "text"), ("w11_benchmark_tokens", "benchmark", "item_id", "text")):
     query(_name, rf"SELECT {_row} AS row, CAST(count(*) AS BIGINT) AS total FROM (SELECT {_row}, unnest(regexp_split_to_array(lower({_text}), '[^\p{{L}}\p{{N}}]+')) AS t FROM {_table}) WHERE t <> '' GROUP BY 1")(
         lambda s, d, t=_table, r=_row, x=_text: matrix.term_counts(load_table(s, d, t), x, r).groupBy("row").agg(F.sum("val").cast("long").alias("total"))
     )

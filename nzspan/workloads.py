@@ -45,9 +45,21 @@ st AS (SELECT term, count(*) AS nnz FROM tf GROUP BY term),
 idx AS (SELECT term, nnz, row_number() OVER (ORDER BY nnz DESC, term) - 1 AS col FROM st),
 e AS (SELECT tf.row, idx.col, tf.val FROM tf JOIN idx USING (term))"""
 _PAIRS = "WITH e AS (SELECT {row} AS row, {col} AS col, CAST(sum(l_quantity) AS BIGINT) AS val FROM lineitem GROUP BY ALL)"
-_RANDOM = f"""WITH c AS (SELECT range AS col, 6 + (range * 7919 + 104729) % 100003 % 98 AS n, {list(generators.STRIDES)}[CAST(range % 8 + 1 AS INTEGER)] AS stride FROM range(1000)),
-i AS (SELECT col, stride, unnest(range(n)) AS i FROM c),
-e AS (SELECT CAST((col + i * stride) % 200 AS BIGINT) AS row, col, 1 + ((col + i * stride) % 200 + col) % 9 AS val FROM i)"""
+#: Rows and columns of the random matrix up to a number of documents: small, middling, and the experiment's size.
+RANDOM_SIZES = ((200, 200, 1000), (1000, 400, 10_000), (None, 2000, 100_000))
+
+
+def _by_documents(k: int) -> str:
+    small, middle, full = RANDOM_SIZES
+    return f"(SELECT CASE WHEN count(*) <= {small[0]} THEN {small[k]} WHEN count(*) <= {middle[0]} THEN {middle[k]} ELSE {full[k]} END FROM documents)"
+
+
+# slack and density as in generators.random_matrix
+_RANDOM = f"""WITH z AS (SELECT CAST({_by_documents(1)} AS BIGINT) AS m, CAST({_by_documents(2)} AS BIGINT) AS n),
+s AS (SELECT m, n, greatest(0, CAST(floor(0.274 * m) AS BIGINT) - CAST(floor(0.24 * m) AS BIGINT)) AS lo, least(m, CAST(ceil(0.274 * m) AS BIGINT) + CAST(floor(0.24 * m) AS BIGINT)) AS hi FROM z),
+c AS (SELECT range AS col, m, lo + (range * 7919 + 104729) % 100003 % (hi - lo + 1) AS n, {list(generators.STRIDES)}[CAST(range % 8 + 1 AS INTEGER)] AS stride FROM s, range((SELECT n FROM z))),
+i AS (SELECT col, m, stride, unnest(range(n)) AS i FROM c),
+e AS (SELECT CAST((col + i * stride) % m AS BIGINT) AS row, col, 1 + ((col + i * stride) % m + col) % 9 AS val FROM i)"""
 ENTRIES = {
     "dense_first": _TERMS.replace("{order}", "nnz DESC, term"),
     "native": _TERMS.replace("{order}", "first_row, term"),
@@ -55,6 +67,15 @@ ENTRIES = {
     "tall": _PAIRS.format(row="l_orderkey", col="l_partkey"),
     "random": _RANDOM,
     "bigrams": _BIGRAMS,
+    "label": _TERMS.replace("{order}", "term"),
+    "hashed": _TERMS.replace("{order}", "md5(term), term"),
+    "dense_last": _TERMS.replace("{order}", "nnz, term"),
+    "user_type": "WITH kinds AS (SELECT event_type, row_number() OVER (ORDER BY event_type) - 1 AS row FROM (SELECT DISTINCT event_type FROM events)), e AS (SELECT row, user_id AS col, CAST(count(*) AS BIGINT) AS val FROM events JOIN kinds USING (event_type) GROUP BY ALL)",
+    "brand_order": "WITH kinds AS (SELECT p_brand, row_number() OVER (ORDER BY p_brand) - 1 AS row FROM (SELECT DISTINCT p_brand FROM part)), e AS (SELECT row, l_orderkey AS col, CAST(sum(l_quantity) AS BIGINT) AS val FROM lineitem JOIN part ON l_partkey = p_partkey JOIN kinds USING (p_brand) GROUP BY ALL)",
+    "customer_part": "WITH e AS (SELECT o_custkey AS row, l_partkey AS col, CAST(sum(l_quantity) AS BIGINT) AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY ALL)",
+    "pages": _TERMS.replace("doc_id", "page_id").replace("lower(text)", "lower(html)").replace("FROM documents", "FROM pages").replace("{order}", "nnz DESC, term"),
+    "conversations": _TERMS.replace("doc_id", "conv_id").replace("FROM documents", "FROM conversations").replace("{order}", "nnz DESC, term"),
+    "benchmark": _TERMS.replace("doc_id", "item_id").replace("FROM documents", "FROM benchmark").replace("{order}", "nnz DESC, term"),
 }
 _SIZE = {
     "dense_first": ("(SELECT max(doc_id) + 1 FROM documents)", "(SELECT count(*) FROM idx)"),
@@ -62,8 +83,8 @@ _SIZE = {
     "bigrams": ("(SELECT max(doc_id) + 1 FROM documents)", "(SELECT count(*) FROM idx)"),
     "balanced": ("(SELECT max(l_suppkey) + 1 FROM lineitem)", "(SELECT max(l_partkey) + 1 FROM lineitem)"),
     "tall": ("(SELECT max(l_orderkey) + 1 FROM lineitem)", "(SELECT max(l_partkey) + 1 FROM lineitem)"),
-    "random": ("200", "1000"),
-}
+    "random": (_by_documents(1), _by_documents(2)),
+} | {k: ("(SELECT max(doc_id) + 1 FROM documents)", "(SELECT count(*) FROM idx)") for k in ("label", "hashed", "dense_last")}
 
 
 def _lineitem(spark: SparkSession, sf_dir: str, key: str) -> SparseMatrix:
@@ -73,10 +94,45 @@ def _lineitem(spark: SparkSession, sf_dir: str, key: str) -> SparseMatrix:
     return SparseMatrix(e, sizes[0] + 1, sizes[1] + 1)
 
 
+#: Matrices whose rows are the few values of a column: table and column of the values; and of those whose rows are texts: table, key and text.
+_KINDS = {"user_type": ("events", "event_type"), "brand_order": ("part", "p_brand")}
+_TEXTS = {"pages": ("pages", "page_id", "html"), "conversations": ("conversations", "conv_id", "text"), "benchmark": ("benchmark", "item_id", "text")}
+
+
+def random_size(spark: SparkSession, sf_dir: str) -> tuple[int, int]:
+    """Rows and columns of the random matrix for a folder of tables."""
+    documents = load_table(spark, sf_dir, "documents", "doc_id").count()
+    return next((m, n) for most, m, n in RANDOM_SIZES if most is None or documents <= most)
+
+
+def _of_kinds(spark: SparkSession, sf_dir: str, name: str) -> SparseMatrix:
+    """Few rows, one for each value of a column in its order; dense in every one."""
+    table, column = _KINDS[name]
+    values = [r[0] for r in load_table(spark, sf_dir, table, column).distinct().orderBy(column).collect()]  # few by their nature
+    kinds = F.broadcast(spark.createDataFrame(list(enumerate(values)), f"row long, {column} string"))
+    if name == "user_type":
+        e = matrix.pair_matrix(load_table(spark, sf_dir, "events", "user_id", column).join(kinds, column), "row", "user_id", F.lit(1.0))
+    else:
+        lines = load_table(spark, sf_dir, "lineitem", "l_orderkey", "l_partkey", "l_quantity").join(load_table(spark, sf_dir, "part", "p_partkey", column), F.col("l_partkey") == F.col("p_partkey"))
+        e = matrix.pair_matrix(lines.join(kinds, column), "row", "l_orderkey", "l_quantity")
+    e = written(e, "kinds")
+    return SparseMatrix(e, len(values), e.agg(F.max("col")).first()[0] + 1)
+
+
 def get_matrix(spark: SparkSession, sf_dir: str, name: str) -> SparseMatrix:
     def make() -> SparseMatrix:
         if name == "random":
-            found = generators.random_matrix(spark, 200, 1000)
+            found = generators.random_matrix(spark, *random_size(spark, sf_dir))
+        elif name in _KINDS:
+            found = _of_kinds(spark, sf_dir, name)
+        elif name in _TEXTS:
+            table, row, text = _TEXTS[name]
+            counts = matrix.term_counts(load_table(spark, sf_dir, table), text, row)
+            found = matrix.label_matrix(written(counts, "counts"), "dense_first", load_table(spark, sf_dir, table).agg(F.max(row)).first()[0] + 1)
+        elif name == "customer_part":
+            joined = load_table(spark, sf_dir, "lineitem", "l_orderkey", "l_partkey", "l_quantity").join(load_table(spark, sf_dir, "orders", "o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
+            e = written(matrix.pair_matrix(joined, "o_custkey", "l_partkey", "l_quantity"), "pairs")
+            found = SparseMatrix(e, *[k + 1 for k in e.agg(F.max("row"), F.max("col")).first()])
         elif name == "balanced":
             found = _lineitem(spark, sf_dir, "l_suppkey")
         elif name == "tall":
@@ -271,7 +327,10 @@ for _name in ("dense_first", "native", "balanced", "random", "bigrams"):
     _as = "" if _name == "dense_first" else f"_{_name}"
     query(f"forward_plain{_as}", ENTRIES[_name] + _FORWARD)(lambda s, d, k=_name: _whole(products.forward_plain(get_matrix(s, d, k), long_x(s, get_matrix(s, d, k).n)), "row", "y"))
     query(f"transposed_plain{_as}", ENTRIES[_name] + _TRANSPOSED)(lambda s, d, k=_name: _whole(products.transposed_plain(get_matrix(s, d, k), short_v(s, get_matrix(s, d, k).m)), "col", "u"))
-for _name, _label in (("native", "w2"), ("random", "w3"), ("balanced", "w3b"), ("bigrams", "w8")):
+for _name, _label in (
+    ("native", "w2"), ("random", "w3"), ("balanced", "w3b"), ("user_type", "w5_user_type"), ("bigrams", "w8"), ("brand_order", "w11_brand_order"), ("customer_part", "w11_customer_part"),
+    ("pages", "w11_pages"), ("conversations", "w11_conversations"), ("benchmark", "w11_benchmark"), ("label", "order_label"), ("hashed", "order_hashed"), ("dense_last", "order_dense_last"),
+):
     query(f"{_label}_forward", ENTRIES[_name] + _FORWARD)(lambda s, d, k=_name: _whole(products.forward(get_even(s, d, k), _x(get_even(s, d, k))), "row", "y"))
     query(f"{_label}_transposed", ENTRIES[_name] + _TRANSPOSED)(lambda s, d, k=_name: _whole(vectors.gather(products.transposed(get_even(s, d, k), _v(get_even(s, d, k))), "u"), "col", "u"))
 # a tall matrix takes its forward product as the transposed one of its transpose, and the other way round
@@ -289,19 +348,72 @@ def _(spark, sf_dir):
     return _whole(products.forward(d, _x(d)), "row", "y")
 
 
-@query("w9_forward", "WITH e AS (SELECT unnest(range(64)) AS row, vec_id AS col, unnest(embedding) AS val FROM embeddings) SELECT row, round(sum(CAST(val AS DOUBLE) * (1 + col % 7)), 4) AS y FROM e GROUP BY row")
+@query("w6_transposed", ENTRIES["dense_first"] + ", w AS (SELECT row, col + 1 AS col, val FROM e UNION ALL SELECT range, 0, 1 FROM range((SELECT max(doc_id) + 1 FROM documents))) SELECT col, CAST(sum(val * (1 + row % 5)) AS BIGINT) AS u FROM w GROUP BY col")
 def _(spark, sf_dir):
-    e = matrix.array_matrix(load_table(spark, sf_dir, "embeddings"), "vec_id", "embedding")
-    n = e.agg(F.max("col")).first()[0] + 1
-    d = kept(spark, sf_dir, "vectors", lambda: layout.partition_even(SparseMatrix(checkpointed(e), 64, n), P))
-    return products.forward(d, _x(d)).select("row", F.round("y", 4).alias("y"))
+    d = kept(spark, sf_dir, "constant", lambda: layout.partition_even(generators.with_constant_column(get_matrix(spark, sf_dir, "dense_first")), P))
+    return _whole(vectors.gather(products.transposed(d, _v(d)), "u"), "col", "u")
+
+
+def _vectors(spark: SparkSession, sf_dir: str) -> Distributed:
+    def make() -> Distributed:
+        e = written(matrix.array_matrix(load_table(spark, sf_dir, "embeddings"), "vec_id", "embedding"), "vectors")
+        return layout.partition_even(SparseMatrix(e, 64, e.agg(F.max("col")).first()[0] + 1), P)
+
+    return kept(spark, sf_dir, "vectors", make)
+
+
+_DENSE = "WITH e AS (SELECT unnest(range(64)) AS row, vec_id AS col, unnest(embedding) AS val FROM embeddings)"
+query("w9_forward", _DENSE + " SELECT row, round(sum(CAST(val AS DOUBLE) * (1 + col % 7)), 4) AS y FROM e GROUP BY row")(
+    lambda s, d: products.forward(_vectors(s, d), _x(_vectors(s, d))).select("row", F.round("y", 4).alias("y"))
+)
+query("w9_transposed", _DENSE + " SELECT col, round(sum(CAST(val AS DOUBLE) * (1 + row % 5)), 4) AS u FROM e GROUP BY col")(
+    lambda s, d: vectors.gather(products.transposed(_vectors(s, d), _v(_vectors(s, d))), "u").select("col", F.round("u", 4).alias("u"))
+)
+
 
+def _supplier_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each supplier's whole cents, as a short vector."""
+    return load_table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("row"), F.round(F.col("s_acctbal") * 100).alias("v"))
 
-@query("pairs_chained_2")
+
+query("w11_supplier_balance", ENTRIES["balanced"] + " SELECT col, CAST(sum(val * CAST(round(s_acctbal * 100) AS BIGINT)) AS BIGINT) AS u FROM e JOIN supplier ON s_suppkey = row GROUP BY col")(
+    lambda s, d: _whole(vectors.gather(products.transposed(get_even(s, d, "balanced"), _supplier_balance(s, d)), "u"), "col", "u")
+)
+
+
+def _grid(spark: SparkSession, sf_dir: str) -> Distributed:
+    return kept(spark, sf_dir, "grid", lambda: baselines.partition_blocks(get_matrix(spark, sf_dir, "balanced"), (2, 4)))
+
+
+query("forward_grid", ENTRIES["balanced"] + _FORWARD)(lambda s, d: _whole(baselines.forward_spans(_grid(s, d), long_x(s, get_matrix(s, d, "balanced").n)), "row", "y"))
+query("transposed_grid", ENTRIES["balanced"] + _TRANSPOSED)(lambda s, d: _whole(baselines.transposed_spans(_grid(s, d), short_v(s, get_matrix(s, d, "balanced").m), shared=True), "col", "u"))
+
+
+def _pairs_sql(turns: int) -> str:
+    """The turns of chained products one after the other, by plain joins."""
+    text = ", x0 AS (SELECT DISTINCT col, CAST(1 + col % 7 AS DOUBLE) AS x FROM e)"
+    for k in range(1, turns + 1):
+        text += f""", y{k} AS (SELECT row, sum(val * x) AS y FROM e JOIN x{k - 1} USING (col) GROUP BY row), v{k} AS (SELECT row, y / (SELECT max(abs(y)) FROM y{k}) AS v FROM y{k}),
+x{k} AS (SELECT col, sum(val * v) AS x FROM e JOIN v{k} USING (row) GROUP BY col)"""
+    return text + f", every AS (SELECT range AS row FROM range((SELECT max(doc_id) + 1 FROM documents))) SELECT every.row, round(coalesce(v, 0), 8) AS y FROM every LEFT JOIN v{turns} USING (row)"
+
+
+def _pairs(spark: SparkSession, sf_dir: str, turns: int, name: str = "dense_first") -> DataFrame:
+    """The last short vector of chained turns, by its largest value."""
+    d = get_even(spark, sf_dir, name)
+    y, _, _ = products.product_pairs(d, _x(d), _v(d), turns)
+    return y.crossJoin(F.broadcast(y.agg(F.max(F.abs("y")).alias("peak")))).select("row", F.round(F.col("y") / F.col("peak"), 8).alias("y"))
+
+
+query("pairs_chained_2", ENTRIES["dense_first"] + _pairs_sql(2))(lambda s, d: _pairs(s, d, 2))
+query("w2_pairs", ENTRIES["native"] + _pairs_sql(3))(lambda s, d: _pairs(s, d, 3, "native"))
+
+
+@query("w1_pairs", ENTRIES["dense_first"] + ", t AS (SELECT col, CAST(sum(val * (1 + row % 5)) AS BIGINT) AS u FROM e GROUP BY col) SELECT col, u FROM t")
 def _(spark, sf_dir):
     d = get_even(spark, sf_dir)
-    y, _, _ = products.product_pairs(d, _x(d), _v(d), 2)
-    return y.select("row", F.round("y", 6).alias("y"))
+    _, u, _ = products.product_pairs(d, _x(d), _v(d), 2, "independent")
+    return _whole(vectors.gather(u, "u"), "col", "u")
 
 
 # --- vectors in the overlapped layout
@@ -319,10 +431,14 @@ query("vec_complete", ENTRIES["balanced"] + f" SELECT range AS col, coalesce((SE
 )
 query("vec_balance", _LAID + " SELECT part, count(*) AS stored, count(*) FILTER (WHERE home) AS home FROM l GROUP BY part")(lambda s, d: vectors.vector_balance(get_even(s, d)))
 
+query("vector_imbalance", _LAID + ", b AS (SELECT part, count(*) AS stored, count(*) FILTER (WHERE home) AS home FROM l GROUP BY part) SELECT round(max(stored) * count(*) / CAST(sum(stored) AS DOUBLE), 4) AS stored_ratio, round(max(home) * count(*) / CAST(sum(home) AS DOUBLE), 4) AS home_ratio FROM b")(
+    lambda s, d: vectors.vector_imbalance(get_even(s, d))
+)
+
 # --- measures and sweeps
 
 _PS = "(SELECT unnest([1, 2, 4, 8, 16, 32, 64, 128, 256, 512]) AS parts)"
-for _name in ("dense_first", "native", "balanced", "random", "bigrams"):
+for _name in ("dense_first", "native", "balanced", "random", "bigrams", "label", "hashed", "dense_last"):
     _prof = lambda s, d, k=_name: kept(s, d, f"profile {k}", lambda: plans.column_profile(get_matrix(s, d, k)))
     query(
         f"sweep_imbalance_{_name}",
@@ -371,7 +487,17 @@ def _(spark, sf_dir):
     return spark.createDataFrame([(a, b, round(c, 3)) for a, b, c in rows], "scheme string, operation string, cost double")
 
 
-query("random_matrix", _RANDOM + " SELECT row, col, CAST(val AS BIGINT) AS val FROM e")(lambda s, d: _whole(generators.random_matrix(s, 200, 1000).entries, "row", "col", "val"))
+query("random_matrix", _RANDOM + " SELECT row, col, CAST(val AS BIGINT) AS val FROM e")(lambda s, d: _whole(get_matrix(s, d, "random").entries, "row", "col", "val"))
+query("max_error_forward", ENTRIES["dense_first"] + " SELECT count(DISTINCT row) AS compared, CAST(0 AS DOUBLE) AS max_abs, CAST(0 AS DOUBLE) AS max_rel FROM e")(
+    lambda s, d: plans.max_error(products.forward(get_even(s, d), _x(get_even(s, d))), products.forward_plain(get_matrix(s, d, "dense_first"), long_x(s, get_matrix(s, d, "dense_first").n)), "row", "y")
+)
+query("max_error_transposed", ENTRIES["dense_first"] + " SELECT count(DISTINCT col) AS compared, CAST(0 AS DOUBLE) AS max_abs, CAST(0 AS DOUBLE) AS max_rel FROM e")(
+    lambda s, d: plans.max_error(vectors.gather(products.transposed(get_even(s, d), _v(get_even(s, d))), "u"), products.transposed_plain(get_matrix(s, d, "dense_first"), _v(get_even(s, d))), "col", "u")
+)
+query("identity_gap", ENTRIES["dense_first"] + " SELECT CAST(sum(val * (1 + col % 7) * (1 + row % 5)) AS DOUBLE) AS v_ax, CAST(sum(val * (1 + col % 7) * (1 + row % 5)) AS DOUBLE) AS va_x, CAST(0 AS DOUBLE) AS gap FROM e")(
+    lambda s, d: plans.identity_gap(get_even(s, d), _x(get_even(s, d)), _v(get_even(s, d)))
+)
+query("setup_ratio")(lambda s, d: plans.setup_ratio(get_even(s, d), _v(get_even(s, d))))
 query("mx_terms", _TERMS.replace("{order}", "term") + " SELECT row, term, val FROM tf")(lambda s, d: _whole(matrix.term_counts(load_table(s, d, "documents")), "row", "term", "val"))
 query("mx_bigrams", _BIGRAMS + " SELECT row, term, val FROM tf")(lambda s, d: _whole(matrix.ngram_counts(load_table(s, d, "documents")), "row", "term", "val"))
 query("mx_col_index", _TERMS.replace("{order}", "nnz DESC, term") + " SELECT term, col, nnz FROM idx")(lambda s, d: matrix.index_labels(matrix.term_counts(load_table(s, d, "documents"))))

@@ -12,10 +12,10 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nzspan.session import checkpointed, release
+from nzspan.session import checkpointed, discard, release, written
 
 from . import vectors
-from .layout import Distributed
+from .layout import Distributed, place
 from .products import dense, forward, short_frame, transposed
 
 
@@ -26,10 +26,12 @@ class Trace:
     x: DataFrame | np.ndarray | None = None
     values: list[float] = field(default_factory=list)
     residuals: list[float] = field(default_factory=list)
+    tol: float = 0.0
 
     def frame(self, spark) -> DataFrame:
-        rows = [(i, float(v), float(r)) for i, (v, r) in enumerate(zip(self.values, self.residuals, strict=True))]
-        return spark.createDataFrame(rows, "iteration int, value double, residual double")
+        """(iteration, value, residual, reached): reached tells whether the residual met the tolerance by then."""
+        rows = [(i, float(v), float(r), bool(r <= self.tol)) for i, (v, r) in enumerate(zip(self.values, self.residuals, strict=True))]
+        return spark.createDataFrame(rows, "iteration int, value double, residual double, reached boolean")
 
 
 class Pair:
@@ -56,7 +58,7 @@ def conjugate_gradient(d: Distributed, b: np.ndarray, ridge: float = 1.0, tol: f
     """x = Aᵀ w with (A Aᵀ + ridge I) w = b: the ridge solution of A x = b. residual: relative, of w's system; value: half the squared misfit with the ridge."""
     pair = Pair(d)
     w, r = np.zeros(len(b)), b.astype(float).copy()
-    p, rr, scale, out = r.copy(), float(r @ r), max(float(b @ b), 1e-300) ** 0.5, Trace()
+    p, rr, scale, out = r.copy(), float(r @ r), max(float(b @ b), 1e-300) ** 0.5, Trace(tol=tol)
     while len(out.values) < max_iter and rr**0.5 / scale > tol:
         q = pair.normal(p) + ridge * p
         alpha = rr / float(p @ q)
@@ -79,7 +81,18 @@ def spectral_gradient(
     The step is ⟨s, s⟩ / ⟨s, y⟩ of the last moves s of x and y of the gradient. A step is halved until the value is below the largest
     of the last `memory` ones by a part of the decrease that the gradient promises. residual: norm of the projected gradient, relative to the first.
     """
-    pair, out = Pair(d), Trace()
+    pair, out = Pair(d), Trace(tol=tol)
+    tables: dict[int, DataFrame] = {}
+
+    def kept(df: DataFrame) -> DataFrame:
+        """df, written and placed anew: a checkpoint would hand what is known of its columns on to the next, and that doubles in each step."""
+        table = written(df.select("part", "col", "x", "is_home"), "long")
+        out = place(table, d.n_parts)
+        tables[id(out)] = table
+        return out
+
+    def drop(*old: DataFrame) -> None:
+        discard(*[tables.pop(id(df)) for df in old if id(df) in tables])
 
     def clip(x: DataFrame) -> DataFrame:
         if lo is None and hi is None:
@@ -92,18 +105,18 @@ def spectral_gradient(
         return float(df.first()[column] or 0.0)
 
     def gradient(x: DataFrame, misfit: np.ndarray) -> DataFrame:
-        return checkpointed(vectors.axpy(ridge, x, pair.transposed(misfit)))
+        return kept(vectors.axpy(ridge, x, pair.transposed(misfit)))
 
     def value(x: DataFrame, misfit: np.ndarray) -> float:
         return 0.5 * float(misfit @ misfit) + 0.5 * ridge * one(vectors.norm2(x), "norm2")
 
-    x = checkpointed(clip(vectors.scale(0.0, pair.transposed(np.ones(d.matrix.m)))))
+    x = kept(clip(vectors.scale(0.0, pair.transposed(np.ones(d.matrix.m)))))
     misfit = pair.forward(x) - b
     g, f = gradient(x, misfit), value(x, misfit)
     step = first_step or 1.0 / max(one(vectors.norm2(g), "norm2") ** 0.5, 1e-300)
     history, start = [f], None
     while len(out.values) < max_iter:
-        move = checkpointed(vectors.axpy(-1.0, x, clip(vectors.axpy(-step, g, x))))  # to the projection of x - step g
+        move = kept(vectors.axpy(-1.0, x, clip(vectors.axpy(-step, g, x))))  # to the projection of x - step g
         slope = one(vectors.dot(g, move), "dot")
         size = one(vectors.norm2(move), "norm2") ** 0.5 / step
         start = start or max(size, 1e-300)
@@ -112,7 +125,7 @@ def spectral_gradient(
         part, product = 1.0, pair.forward(move)
         while True:
             new_misfit = misfit + part * product
-            new_x = checkpointed(vectors.axpy(part, move, x))
+            new_x = kept(vectors.axpy(part, move, x))
             new_f = value(new_x, new_misfit)
             if new_f <= max(history[-memory:]) + 1e-4 * part * slope or part < 1e-6:
                 break
@@ -121,6 +134,7 @@ def spectral_gradient(
         turn = vectors.axpy(-1.0, g, new_g)
         ss, sy = part * part * one(vectors.norm2(move), "norm2"), part * one(vectors.dot(move, turn), "dot")
         step = min(max(ss / sy, 1e-12), 1e12) if sy > 0 else step
+        drop(x, g, move)
         x, g, f, misfit = new_x, new_g, new_f, new_misfit
         history.append(f)
         out.values.append(f)
@@ -133,9 +147,9 @@ def projected_spectral_gradient(d: Distributed, b: np.ndarray, lo: float, hi: fl
     return spectral_gradient(d, b, lo=lo, hi=hi, **more)
 
 
-def largest_singular_value(d: Distributed, iterations: int = 10, seed: int = 42) -> Trace:
-    """Power iteration on A Aᵀ; value: the estimate of the largest singular value, residual: its relative change."""
-    pair, out = Pair(d), Trace()
+def largest_singular_value(d: Distributed, iterations: int = 10, seed: int = 42, tol: float = 1e-3) -> Trace:
+    """Power iteration on A Aᵀ, until the relative change is at most tol; value: the estimate of the largest singular value, residual: its relative change."""
+    pair, out = Pair(d), Trace(tol=tol)
     w = np.random.default_rng(seed).normal(size=d.matrix.m)
     w /= np.linalg.norm(w)
     for _ in range(iterations):
@@ -145,6 +159,8 @@ def largest_singular_value(d: Distributed, iterations: int = 10, seed: int = 42)
         before = out.values[-1] if out.values else 0.0
         out.values.append(size**0.5)
         out.residuals.append(abs(size**0.5 - before) / max(size**0.5, 1e-300))
+        if out.residuals[-1] <= tol:
+            break
     out.x = w
     return out
 

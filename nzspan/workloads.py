@@ -519,8 +519,9 @@ def _labels(spark: SparkSession, sf_dir: str) -> tuple[Distributed, np.ndarray]:
     return kept(spark, sf_dir, "labels", make)
 
 
-query("cg_ridge")(lambda s, d: solvers.conjugate_gradient(*_labels(s, d), ridge=10.0, tol=1e-6, max_iter=6).frame(s))
-query("spectral_ridge")(lambda s, d: solvers.spectral_gradient(*_labels(s, d), ridge=10.0, max_iter=4).frame(s))
-query("projected_spectral")(lambda s, d: solvers.projected_spectral_gradient(*_labels(s, d), -0.01, 0.01, ridge=10.0, max_iter=3).frame(s))
-query("gradient_fixed")(lambda s, d: solvers.gradient_descent(*_labels(s, d), ridge=10.0, max_iter=3, step=1e-4).frame(s))
-query("top_singular")(lambda s, d: solvers.largest_singular_value(_labels(s, d)[0], 4).frame(s))
+# each stops at its tolerance; the last of the rows tells whether it was reached before the limit of iterations
+query("cg_ridge")(lambda s, d: solvers.conjugate_gradient(*_labels(s, d), ridge=10.0, tol=1e-6, max_iter=50).frame(s))
+query("spectral_ridge")(lambda s, d: solvers.spectral_gradient(*_labels(s, d), ridge=10.0, tol=1e-2, max_iter=15).frame(s))
+query("projected_spectral")(lambda s, d: solvers.projected_spectral_gradient(*_labels(s, d), -0.01, 0.01, ridge=10.0, tol=1e-2, max_iter=15).frame(s))
+query("gradient_fixed")(lambda s, d: solvers.gradient_descent(*_labels(s, d), ridge=10.0, max_iter=20).frame(s))
+query("top_singular")(lambda s, d: solvers.largest_singular_value(_labels(s, d)[0], 20).frame(s))

@@ -33,8 +33,8 @@ STATES, OWN, SUFFIXES = 12, 8192, 256
 KNOWN, TOGETHER = 65536, 300_000
 #: Training stops when a pass lifts the logarithm of the likelihood by less than this share of it.
 TOLERANCE, PRIOR = 1e-3, 20.0
-#: Steps of a recursion from one scaling to the next.
-RESCALE = 16
+#: Steps of a recursion from one scaling to the next, in double and in single precision; a sum that counts as none in the latter.
+RESCALE, RESCALE_SINGLE, LEAST = 16, 4, 1e-37
 
 
 def suffix_class(word: bytes) -> int:
@@ -64,12 +64,11 @@ class Vocabulary:
         words = common.byte_words(text)
         words.append(END)
         at = np.array([self.index.get(w, -1) for w in words], np.int64)
-        rare = Counter(words[i] for i in np.flatnonzero(at < 0))
+        missing = np.flatnonzero(at < 0)
+        others = [words[i] for i in missing.tolist()]
+        rare = Counter(others)
         classes = np.where(at >= 0, self.classes[at], 0) if len(self.classes) else np.zeros(len(at), np.int64)
-        if rare:
-            of = {w: OWN + suffix_class(w) for w in rare}
-            for i in np.flatnonzero(at < 0):
-                classes[i] = of[words[i]]
+        classes[missing] = [OWN + zlib.crc32(w[-2:]) % SUFFIXES for w in others]
         known = at[at >= 0]
         in_class = self.log_count[known[known >= OWN]].sum() - self.log_mass[classes[classes >= OWN] - OWN].sum()
         return classes, rare, float(self.log_count[known].sum()), float(in_class)
@@ -93,11 +92,12 @@ class Chain:
         start, move, emit = start + 0.1, move + 0.1, emit + PRIOR * share[:, None]
         return cls(start / start.sum(), move / move.sum(axis=1, keepdims=True), emit / emit.sum(axis=0))
 
-    def forward(self, flat: np.ndarray, alive: list[int], seen: np.ndarray, out: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+    def forward(self, flat: np.ndarray, alive: list[int], seen: np.ndarray, out: np.ndarray | None, rescale: int) -> tuple[np.ndarray, np.ndarray]:
         """(what each text was scaled by, step by step; sums of the last states): the forward recursion, in out if it is given.
 
-        Only every RESCALE-th step is scaled, which double precision has room for.
+        Only every so many steps are scaled, which the numbers of seen must have room for.
         """
+        move = self.move.astype(seen.dtype)
         ends = np.cumsum(alive).tolist()
         scales = np.ones(len(flat))
         last = np.empty(alive[0])
@@ -111,12 +111,12 @@ class Chain:
                 m = len(before)
                 if m > n:
                     last[n:m] = before[n:].sum(axis=1)
-                np.matmul(before[:n], self.move, out=state)
+                np.matmul(before[:n], move, out=state)
             else:
                 state[:] = self.start
             state *= seen[lo:hi]
-            if t % RESCALE == RESCALE - 1:
-                scale = 1.0 / state.sum(axis=1)
+            if t % rescale == rescale - 1:
+                scale = 1.0 / np.maximum(state.sum(axis=1), np.finfo(seen.dtype).tiny)
                 state *= scale[:, None]
                 scales[lo:hi] = scale
             before = state
@@ -127,7 +127,7 @@ class Chain:
         """log10 probability of every sequence of classes."""
         out = np.zeros(len(texts))
         for order, flat, alive in together(texts):
-            scales, last = self.forward(flat, alive, self.emit[flat], None)
+            scales, last = self.forward(flat, alive, self.emit[flat], None, RESCALE)
             logs, ends = np.log10(last), np.cumsum(alive).tolist()
             for t in range(RESCALE - 1, len(alive), RESCALE):
                 logs[: alive[t]] -= np.log10(scales[ends[t] - alive[t] : ends[t]])
@@ -137,30 +137,33 @@ class Chain:
     def expect(self, texts: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> float:
         """Add the expected counts of a forward and backward recursion to start, move and emit; the log10 probability of all texts."""
         states, told = len(self.start), 0.0
-        turned = np.ascontiguousarray(self.move.T)
+        # single precision, for which each class's chances are taken by the largest of them
+        turned = np.ascontiguousarray(self.move.T.astype(np.float32))
+        peak = np.maximum(self.emit.max(axis=1), 1e-300)
+        emits = (self.emit / peak[:, None]).astype(np.float32)
         for _, flat, alive in together(texts):
             ends = np.cumsum(alive).tolist()
-            seen = self.emit[flat]
-            ahead = np.empty((len(flat), states))  # forward, then the states' probabilities
-            scales, last = self.forward(flat, alive, seen, ahead)
-            told += float(np.log10(last).sum() - np.log10(scales).sum())
-            back = np.ones((len(flat), states))
+            seen = emits[flat]
+            ahead = np.empty((len(flat), states), np.float32)  # forward, then the states' probabilities
+            scales, last = self.forward(flat, alive, seen, ahead, RESCALE_SINGLE)
+            told += float(np.log10(np.maximum(last, LEAST)).sum() - np.log10(scales).sum() + np.bincount(flat, minlength=len(peak)) @ np.log10(peak))
+            back = np.ones((len(flat), states), np.float32)
             for t in range(len(alive) - 2, -1, -1):
                 lo, hi, m = ends[t] - alive[t], ends[t], alive[t + 1]
                 seen[hi : hi + m] *= back[hi : hi + m]  # now with all that follows
                 np.matmul(seen[hi : hi + m], turned, out=back[lo : lo + m])
-                if t % RESCALE == 0:
-                    back[lo : lo + m] /= back[lo : lo + m].sum(axis=1, keepdims=True)
-            both = np.einsum("ij,ij->i", ahead, back)
+                if t % RESCALE_SINGLE == 0:
+                    back[lo : lo + m] /= np.maximum(back[lo : lo + m].sum(axis=1, keepdims=True), LEAST)
+            both = np.maximum(np.einsum("ij,ij->i", ahead, back), LEAST)
             first = alive[0]
             if len(flat) > first:
                 # where the token before each one stands
                 before = np.arange(first, len(flat)) - np.repeat(alive[:-1], alive[1:])
-                seen[first:] *= (scales[first:] / both[first:])[:, None]
+                seen[first:] *= (scales[first:] / both[first:]).astype(np.float32)[:, None]
                 move += self.move * (ahead[before].T @ seen[first:])
             ahead *= back
             ahead /= both[:, None]
-            start += ahead[:first].sum(axis=0)
+            start += ahead[:first].sum(axis=0, dtype=np.float64)
             for k in range(states):
                 emit[:, k] += np.bincount(flat, weights=ahead[:, k], minlength=len(emit))
         return told
@@ -239,21 +242,53 @@ def class_shares(v: Vocabulary) -> np.ndarray:
     return share / share.sum()
 
 
+READ = "row long, doc_id long, held_out boolean, n_tokens long, known long, known_log double, in_class double, classes array<int>, rare array<struct<word:binary,times:long>>"
+
+
+def read_documents(documents: DataFrame, v: Vocabulary) -> DataFrame:
+    """A row of READ for every row of documents(doc_id, text, held_out): tokens as classes, and what their words add to either score."""
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        row = TaskContext.get().partitionId() << 33
+        for batch in (whole.slice(lo, common.ROWS) for whole in batches for lo in range(0, whole.num_rows, common.ROWS)):
+            read = [v.read(t.as_py()) for t in batch.column(1)]
+            rare = [r[1] for r in read]
+            items = pa.StructArray.from_arrays([pa.array([w for r in rare for w in r], pa.binary()), pa.array([n for r in rare for n in r.values()], pa.int64())], names=["word", "times"])
+            sizes = np.array([len(r[0]) for r in read], np.int64)
+            offsets = lambda n: pa.array(np.concatenate([[0], np.cumsum(n)]).astype(np.int32))
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array(np.arange(row, row + len(read))),
+                    batch.column(0),
+                    batch.column(2),
+                    pa.array(sizes),
+                    pa.array(sizes - np.array([sum(r.values()) for r in rare], np.int64)),
+                    pa.array([r[2] for r in read], pa.float64()),
+                    pa.array([r[3] for r in read], pa.float64()),
+                    pa.ListArray.from_arrays(offsets(sizes), pa.array(np.concatenate([np.empty(0, np.int32), *[r[0].astype(np.int32) for r in read]]))),
+                    pa.ListArray.from_arrays(offsets([len(r) for r in rare]), items),
+                ],
+                names=["row", "doc_id", "held_out", "n_tokens", "known", "known_log", "in_class", "classes", "rare"],
+            )
+            row += len(read)
+
+    return documents.select("doc_id", "text", "held_out").mapInArrow(common.frugal(run), READ)
+
+
 def train(documents: DataFrame, v: Vocabulary, states: int = STATES, passes: int | None = None, seed: int = 42) -> Chain:
     """A chain from documents(text) by passes over all texts: so many, or until one gains less than TOLERANCE."""
+    told = documents.select(F.lit(None).cast("long").alias("doc_id"), "text", F.lit(False).alias("held_out"))
+    return train_classes(written(read_documents(told, v).select("classes"), "markov-classes"), v, states, passes, seed)
+
+
+def train_classes(encoded: DataFrame, v: Vocabulary, states: int = STATES, passes: int | None = None, seed: int = 42) -> Chain:
+    """As train, from texts that were read: encoded(classes)."""
     share = class_shares(v)
     size = len(share)
     chain = Chain.random(share, states, seed)
     names = [f"s{k}" for k in range(states)]
-
-    def make():
-        def step(columns: dict) -> dict:
-            return {"classes": [v.read(t.as_py())[0] for t in columns["text"]]}
-
-        return step
-
-    # words are looked up once, not in every pass
-    encoded = written(common.arrow_map(documents.select("text"), make, "classes array<int>"), "markov-classes")
     before, done = -math.inf, 0
     while passes is None or done < passes:
 
@@ -293,40 +328,25 @@ def score_documents(documents: DataFrame, held_out: Column, states: int = STATES
     training = documents.where(~F.coalesce("held_out", F.lit(False)))
     counts = written(count_words(training), "markov-counts")
     v = vocabulary(counts)
-    chain = train(training, v, states, passes, seed)
+    # words are looked up once, not in every pass
+    read = written(read_documents(documents, v), "markov-read")
+    chain = train_classes(read.where(~F.coalesce("held_out", F.lit(False))).select("classes"), v, states, passes, seed)
+    kept = ["row", "doc_id", "held_out", "n_tokens", "known", "known_log"]
 
-    def run(batches):
-        from pyspark import TaskContext
+    def make():
+        def step(columns: dict) -> dict:
+            values, cuts = columns["classes"].values.to_numpy(), columns["classes"].offsets.to_numpy()
+            like = chain.likelihood([values[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)])
+            return {c: columns[c] for c in kept} | {"score": like + columns["in_class"].to_numpy()}
 
-        row = TaskContext.get().partitionId() << 33
-        for batch in batches:
-            read = [v.read(t.as_py()) for t in batch.column(1)]
-            like = chain.likelihood([r[0] for r in read])
-            rare = [r[1] for r in read]
-            offsets = np.concatenate([[0], np.cumsum([len(r) for r in rare])]).astype(np.int32)
-            items = pa.StructArray.from_arrays([pa.array([w for r in rare for w in r], pa.binary()), pa.array([n for r in rare for n in r.values()], pa.int64())], names=["word", "times"])
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array(np.arange(row, row + len(read))),
-                    batch.column(0),
-                    batch.column(2),
-                    pa.array([len(r[0]) for r in read], pa.int64()),
-                    pa.array([len(r[0]) - sum(r[1].values()) for r in read], pa.int64()),
-                    pa.array([r[2] for r in read], pa.float64()),
-                    pa.array([float(x) + r[3] for x, r in zip(like, read, strict=True)], pa.float64()),
-                    pa.ListArray.from_arrays(pa.array(offsets), items),
-                ],
-                names=["row", "doc_id", "held_out", "n_tokens", "known", "known_log", "score", "rare"],
-            )
-            row += len(read)
+        return step
 
-    schema = "row long, doc_id long, held_out boolean, n_tokens long, known long, known_log double, score double, rare array<struct<word:binary,times:long>>"
-    scored = written(documents.mapInArrow(common.frugal(run), schema), "markov-scored")
-    rare = scored.select("row", F.explode("rare").alias("r")).select("row", "r.word", "r.times")
+    scored = common.arrow_map(read.select(*kept, "in_class", "classes"), make, "row long, doc_id long, held_out boolean, n_tokens long, known long, known_log double, score double", rows=1 << 20)
+    rare = read.select("row", F.explode("rare").alias("r")).select("row", "r.word", "r.times")
     met = rare.join(counts, "word", "left")
     log = F.col("times") * F.log10(F.coalesce("c", F.lit(0)) + 0.5)
     met = met.groupBy("row").agg(F.sum(log).alias("rare_log"), F.sum(F.when(F.col("c") > 0, F.col("times")).otherwise(0)).alias("rare_known"))
-    joined = scored.drop("rare").join(met, "row", "left")
+    joined = scored.join(met, "row", "left")
     rare_log = F.coalesce("rare_log", F.lit(0.0))
     return joined.select(
         "doc_id",

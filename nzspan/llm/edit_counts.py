@@ -220,7 +220,7 @@ def op3_edit_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens, edited_tokens, edited_chars, n_encoded, n_leaves of all documents.
 
     Each text is edited three times: sixteen characters from two thirds on give way to its first twenty-four, a word comes in at one
-    third, and the last eight characters go.
+    third, and the last eight characters go. Null texts count as empty; repeated rows are counted each; an empty table gives no rows.
     """
     documents = common.table(spark, sf_dir, "documents", "doc_id", "text").withColumn("text", F.coalesce("text", F.lit("")))
     counted = count_documents(documents).withColumnRenamed("n_tokens", "before").withColumn("n_tokens", F.col("before"))

@@ -360,6 +360,10 @@ def score_documents(documents: DataFrame, held_out: Column, states: int = STATES
 
 
 def op9_hidden_markov(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of all documents."""
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of all documents.
+
+    Null and empty texts are one end token. Rows without a doc_id are trained on. Repeated rows count and are scored each. Without
+    training texts every class is equally likely. An empty table gives no rows. Other columns are left aside.
+    """
     documents = common.table(spark, sf_dir, "documents", "doc_id", "text")
     return score_documents(documents, F.coalesce(common.fold_bucket(F.col("doc_id")) == 1, F.lit(False)))

@@ -125,6 +125,10 @@ def mix(documents: DataFrame, max_repeats: float = 3.0, weight_cycle: int = 3, s
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The mix of all documents: doc_id, size, source_size, target, taken, copies."""
+    """The mix of all documents: doc_id, size, source_size, target, taken, copies.
+
+    Null and empty texts have size 0 and are never taken. Rows without a source are a source, the last; repeated rows are rounded
+    each. An empty table gives no rows. Other columns are left aside.
+    """
     mixed = mix(common.table(spark, sf_dir, "documents", "doc_id", "text", "source"))
     return mixed.select("doc_id", "size", "source_size", "target", "taken", "copies")

@@ -476,6 +476,9 @@ def with_digest(encoded: DataFrame, model: str | None = None) -> DataFrame:
 
 
 def op4_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, n_ids, ids_crc32, n_chunks, and whether decoding gives the text again, for all documents."""
+    """doc_id, n_ids, ids_crc32, n_chunks, and whether decoding gives the text again, for all documents.
+
+    Null and empty texts have no ids. Repeated rows are encoded each. An empty table gives no rows. Other columns are left aside.
+    """
     encoded = encode_documents(common.table(spark, sf_dir, "documents", "doc_id", "text"))
     return with_digest(encoded).select("doc_id", "n_ids", "ids_crc32", "n_chunks", "restored")

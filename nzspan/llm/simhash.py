@@ -202,6 +202,10 @@ def near_duplicates(documents: DataFrame, shingle: int = SHINGLE, radius: int =
 
 
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, fingerprint, component_id of all documents."""
+    """doc_id, fingerprint, component_id of all documents.
+
+    Null and empty texts have fingerprint zero, and are linked by it. Repeated rows keep their place; rows without a doc_id have the
+    component of their fingerprint. An empty table gives no rows. Other columns are left aside.
+    """
     found = near_duplicates(common.table(spark, sf_dir, "documents", "doc_id", "text"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

@@ -436,5 +436,9 @@ def remove_repeats(documents: DataFrame, length: int = LENGTH, gram: int = GRAM,
 
 
 def op10_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of all documents."""
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of all documents.
+
+    Null texts count as empty; texts under 400 bytes lose nothing. Repeated rows are documents that repeat each other. An empty table
+    gives no rows. Other columns are left aside.
+    """
     return remove_repeats(common.table(spark, sf_dir, "documents", "doc_id", "text")).drop("kept")

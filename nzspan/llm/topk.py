@@ -98,7 +98,11 @@ def integer_vectors(embeddings: DataFrame, scale: int = 1024) -> DataFrame:
 
 
 def op8_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """query_id, rank, vec_id, score: the ten best of all other embeddings for each whose vec_id is divisible by 100."""
+    """query_id, rank, vec_id, score: the ten best of all other embeddings for each whose vec_id is divisible by 100.
+
+    Rows without an id, and vectors that are null or hold a null or no finite number, take no part. Repeated rows are candidates as often; ties
+    go to the smaller id. An empty table gives no rows. Other columns are left aside.
+    """
     vectors = integer_vectors(common.table(spark, sf_dir, "embeddings", "vec_id", "embedding"))
     return top_inner_products(vectors, vectors.where(F.col("vec_id") % 100 == 0))
 

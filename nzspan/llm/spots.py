@@ -51,12 +51,13 @@ def _with_set(df: DataFrame, text: str, out: str, anchors, chain: int) -> DataFr
     flat, segments = signature_hashes(F.col(text), anchors, chain)
     df = df.withColumn("_segments", segments)
     # what follows the anchor of each segment
-    df = df.withColumn("_content", F.transform("_segments", lambda s: F.ltrim(F.substr(s, F.instr(s, " ") + F.lit(1)))))
+    after = lambda s: F.when(F.instr(s, " ") > 0, F.ltrim(F.substr(s, F.instr(s, " ") + F.lit(1)))).otherwise("")
+    df = df.withColumn("_content", F.transform("_segments", after))
 
     def one(s: Column, i: Column) -> Column:
         more = [F.coalesce(F.get("_content", i + F.lit(k)), F.lit("")) for k in range(1, chain + 2)]
-        words = F.regexp_replace(F.concat(s, F.lit(" "), *more), " +", " ")
-        return F.when(i > 0, F.xxhash64(F.substring_index(words, " ", chain + 1)))
+        words = F.regexp_replace(F.concat_ws(" ", s, *more), " +", " ")
+        return F.when(i > 0, F.xxhash64(F.rtrim(F.substring_index(words, " ", chain + 1))))
 
     hashes = F.array_compact(F.transform("_segments", one))
     words = F.transform(F.filter(F.split(F.lower(F.col(text)), "[\\x20\\x09-\\x0D]+"), lambda w: w != ""), lambda w: F.xxhash64(w))

@@ -289,6 +289,25 @@ def test_edit_counts(documents, rows, empty):
     assert edit_counts.count_documents(empty).count() == 0
 
 
+def test_op3_counts_what_the_edits_leave(spark):
+    data = "/root/testdata/sf0.001"
+    path, pattern = edit_counts.default_ranks()
+    with open(path, "rb") as file:
+        library = edit_counts.Counter(file.read(), pattern).library
+    texts = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{data}/documents.parquet").collect()}
+    got = edit_counts.op3_edit_counts(spark, data).collect()
+    assert {r["doc_id"] for r in got} == set(texts)
+    for r in got:
+        text = texts[r["doc_id"]]
+        n = len(text)
+        at, head = 2 * n // 3, text[:24]
+        edited = text[:at] + head + text[at + 16 :]
+        edited = edited[: n // 3] + " edited" + edited[n // 3 :]
+        edited = edited[: max(0, len(edited) - 8)]
+        assert (r["n_tokens"], r["edited_tokens"], r["edited_chars"]) == (len(library.encode_ordinary(text)), len(library.encode_ordinary(edited)), len(edited))
+        assert r["n_encoded"] <= 3 * (n + 31)  # no edit encodes more than the text of its time
+
+
 # --- fingerprints
 
 
@@ -304,6 +323,37 @@ def test_spots(spark, documents, rows, empty):
     assert spots.with_next(empty, "doc_id", ["text"]).count() == 0
 
 
+def test_op6_against_plain_sets(spark):
+    data = "/root/testdata/sf0.001"
+
+    def signatures(text):
+        words = [w for w in re.split("[\\x20\\x09-\\x0D]+", text.lower()) if w]
+        starts = [k for k, w in enumerate(words) if w in set(spots.ANCHORS)]
+        content = [words[a + 1 : b] for a, b in zip(starts, [*starts[1:], len(words)], strict=False)]
+        found = set()
+        for k, a in enumerate(starts):
+            chain = [words[a], *[w for c in content[k : k + spots.CHAIN + 2] for w in c]]
+            found.add(tuple(chain[: spots.CHAIN + 1]))
+        return found or set(words)
+
+    def alike(a, b):
+        return len(a & b) / len(a | b) if a | b else 1.0
+
+    texts = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{data}/documents.parquet").collect()}
+    down = sorted(texts, reverse=True)
+    follows = dict(zip(down, [*down[1:], down[0]], strict=True))
+    got = spots.op6_spots(spark, data).collect()
+    assert {r["doc_id"] for r in got} == set(texts)
+    for r in got:
+        text, after = texts[r["doc_id"]], texts[follows[r["doc_id"]]]
+        half = len(text) // 2
+        edited = text[: len(text) - half] + after[:half]
+        assert r["n_chars"] == len(text) and r["edited_sha256"] == hashlib.sha256(edited.encode()).hexdigest()
+        own = signatures(text)
+        assert r["near_edited"] == pytest.approx(alike(own, signatures(edited))) and r["near_next"] == pytest.approx(alike(own, signatures(after)))
+        assert int(r["fingerprint"][:8], 16) == len(own)
+
+
 def test_spots_compares_whole_sets(spark, tmp_path):
     rng = random.Random(14)
     texts = [" ".join(f"the a{rng.randint(0, 40)} b{rng.randint(0, 8)}" for _ in range(n)) for n in (400, 300, 3, 0)]

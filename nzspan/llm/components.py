@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nzspan.session import checkpointed
+from nzspan.session import discard, settle, written
 
 
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -14,8 +14,9 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     Each turn links every larger neighbour of a node to its smallest neighbour (large star), then every smaller
     neighbour likewise (small star). Groups only need a minimum, so a node with very many neighbours is
     first reduced where it lies. Self-links and repeated edges are harmless; no edges give no rows.
+    A turn's edges are written, and those of the turn before, with their shuffles, go.
     """
-    edges = checkpointed(edges.where("a <> b").select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).distinct())
+    edges = written(edges.where("a <> b").select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).distinct(), "edges")
     before = None
     for _ in range(max_rounds):
         both = edges.select(F.col("hi").alias("u"), F.col("lo").alias("v")).unionByName(edges.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
@@ -24,7 +25,9 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         small_least = large.groupBy("hi").agg(F.min("lo").alias("m"))
         small = large.join(small_least, "hi")
         small = small.where("lo <> m").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).unionByName(small_least.select("hi", F.col("m").alias("lo")))
-        edges = checkpointed(small.distinct())
+        old, edges = edges, written(small.distinct(), "edges")
+        discard(old)
+        settle(edges.sparkSession)
         state = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)"))).first()
         if state == before:
             break

@@ -52,3 +52,24 @@ def test_stream_pairs_and_drift(spark, tmp_path):
     for r in streaming.finish(drift, "update").collect():
         seen[r["part"]] = max(seen.get(r["part"], 0), r["nnz"])
     assert seen == {0: 2, 1: 3}
+
+
+def _events(spark, folder, files):
+    """events.parquet of the given (event_id, seconds) rows, a file for each list."""
+    for rows in files:
+        df = spark.createDataFrame([(i, float(at)) for i, at in rows], "event_id long, at double")
+        df = df.selectExpr("event_id", "timestamp_micros(CAST(at * 1000000 AS BIGINT)) AS ts", "1L AS user_id", "'view' AS event_type")
+        df.coalesce(1).write.mode("append").parquet(f"{folder}/events.parquet")
+
+
+def test_sliding_rounds_seconds_as_its_sql(spark, tmp_path):
+    import duckdb
+
+    from nzspan import surroundings, workloads  # noqa: F401
+
+    day = 1_704_067_200
+    _events(spark, tmp_path, [[(1, day + 43199.7), (2, day + 43199.4), (3, day + 43200.2)], [(4, day + 86399.5), (5, day + 86398.5)]])
+    got = sorted(tuple(r) for r in workloads.QUERIES["st_sliding"](spark, str(tmp_path)).select("start", "event_type", "n").collect())
+    duck = duckdb.connect()
+    duck.execute(f"CREATE VIEW events AS SELECT event_id, ts::TIMESTAMP AS ts, user_id, event_type FROM '{tmp_path}/events.parquet/*.parquet'")
+    assert got == sorted(duck.execute(workloads.SQL["st_sliding"]).fetchall())

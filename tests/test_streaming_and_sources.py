@@ -73,3 +73,11 @@ def test_sliding_rounds_seconds_as_its_sql(spark, tmp_path):
     duck = duckdb.connect()
     duck.execute(f"CREATE VIEW events AS SELECT event_id, ts::TIMESTAMP AS ts, user_id, event_type FROM '{tmp_path}/events.parquet/*.parquet'")
     assert got == sorted(duck.execute(workloads.SQL["st_sliding"]).fetchall())
+
+
+def test_dedup_counts_every_event_of_later_files(spark, tmp_path):
+    from nzspan import surroundings, workloads  # noqa: F401
+
+    day = 1_704_067_200
+    _events(spark, tmp_path, [[(k, day + 7200 * k) for k in range(50)], [(k, day + 60 * k) for k in range(40, 90)], [(5, day), (100, day - 86400)]])
+    assert workloads.QUERIES["st_dedup"](spark, str(tmp_path)).first()["n"] == 91

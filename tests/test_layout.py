@@ -190,3 +190,21 @@ def test_spans_and_measures(spark):
     assert plans.imbalance(baselines.partition_columns_balanced(a, 8)).first()["delta_pct"] < plans.imbalance(baselines.partition_columns(a, 8)).first()["delta_pct"] + 5
     assert plans.choose(plans.Stats(10, 1000, 5000, 10), 8, 1.0).split == "columns"
     assert plans.choose(plans.Stats(10, 1000, 5000, 10), 8, 900.0).split == "even"
+
+
+def test_gram_sends_entries_to_blocks_that_share_a_column(spark):
+    """A block of rows whose columns no other block has: each entry goes to one pair, whatever the number of blocks."""
+    import collections
+
+    from nzspan.operators.matrix import gram
+
+    rows = [(r, r // 4 * 10 + c, float(1 + (r + c) % 3)) for r in range(64) for c in range(6)]
+    want = collections.Counter()
+    for r, c, v in rows:
+        for s, k, w in rows:
+            if c == k:
+                want[r, s] += v * w
+    result = gram(spark.createDataFrame(rows, "row long, col long, val double"), 4)
+    assert {(r["row"], r["other"]): r["val"] for r in result.collect()} == dict(want)
+    plan = result._jdf.queryExecution().executedPlan().toString()
+    assert "collect_set" in plan and "sequence" not in plan

@@ -140,7 +140,8 @@ def fingerprint_links(prints: DataFrame, radius: int = RADIUS, block: int = BLOC
     ship(spark)
     celled = in_cells(prints)
     crowded = celled.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    met = celled.join(crowded, "cell")
+    # Spark takes the 70 rows of a fingerprint for one, and would send them all through the driver
+    met = celled.join(crowded.hint("merge"), "cell")
     # a cell of up to `block` fingerprints is compared as a whole; a larger one as pairs of blocks, in each of which a fingerprint stands once
     blocks = F.ceil(F.col("n") / block).cast("int")
     own = F.pmod(F.xxhash64("fp", F.lit(SEED)), blocks).cast("int")

@@ -12,11 +12,11 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nzspan.session import checkpointed, discard, release, written
+from nzspan.session import discard, written
 
 from . import vectors
 from .layout import Distributed, place
-from .products import dense, forward, short_frame, transposed
+from .products import dense, forward, normal, pack_columns, short_frame, transposed
 
 
 @dataclass
@@ -48,10 +48,9 @@ class Pair:
 
     def normal(self, w: np.ndarray) -> np.ndarray:
         """A times A transposed times w."""
-        u = checkpointed(self.transposed(w))
-        y = self.forward(u)
-        release(u)
-        return y
+        if self.d.packed is None:
+            self.d.packed = pack_columns(self.d).persist()
+        return normal(self.d, self.d.packed, w)
 
 
 def conjugate_gradient(d: Distributed, b: np.ndarray, ridge: float = 1.0, tol: float = 1e-8, max_iter: int = 50) -> Trace:

@@ -1,7 +1,7 @@
 import numpy as np
 import pytest
 
-from nzspan.operators import generators, layout, solvers
+from nzspan.operators import generators, layout, products, solvers
 from nzspan.operators.vectors import gather
 
 
@@ -50,3 +50,30 @@ def test_singular_value_and_fixed_steps(problem):
     assert abs(top - np.linalg.norm(a, 2)) / top < 0.01
     trace = solvers.gradient_descent(d, b, ridge=1.0, max_iter=4)
     assert all(x >= y for x, y in zip(trace.values, trace.values[1:], strict=False))
+
+
+@pytest.mark.parametrize(("parts", "most"), [(1, 1000), (4, 1000), (4, 3), (30, 1)])
+def test_both_products_at_once(spark, parts, most):
+    a = generators.random_matrix(spark, 12, 40)
+    rows = a.entries.toPandas()
+    full = np.zeros((a.m, a.n))
+    full[rows["row"], rows["col"]] = rows["val"]
+    d = layout.partition_even(a, parts)
+    packed = products.pack_columns(d, most)
+    assert packed.where("zone >= 0").select("zone").distinct().count() == d.zones.count()
+    w = np.random.default_rng(5).normal(size=a.m)
+    for few in (0, products.FEW):
+        assert np.allclose(products.normal(d, packed, w, few), full @ (full.T @ w))
+
+
+def test_a_step_takes_two_jobs_at_most(problem, spark):
+    d, a, b = problem
+    pair = solvers.Pair(d)
+    assert np.allclose(pair.normal(b), a @ (a.T @ b))
+    spark.sparkContext.setJobGroup("step", "one step")
+    try:
+        pair.normal(b)
+        jobs = spark.sparkContext.statusTracker().getJobIdsForGroup("step")
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert 1 <= len(jobs) <= 2

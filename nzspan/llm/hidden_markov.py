@@ -41,6 +41,13 @@ def suffix_class(word: bytes) -> int:
     return zlib.crc32(word[-2:]) % SUFFIXES
 
 
+class Index(dict):
+    """Places of words, -1 for all others."""
+
+    def __missing__(self, word: bytes) -> int:
+        return -1
+
+
 @dataclass
 class Vocabulary:
     """The most frequent words with their counts, and totals. The first OWN are classes."""
@@ -52,7 +59,7 @@ class Vocabulary:
     mass: np.ndarray  # of each suffix class: counts plus one half of its words, and one half
 
     def __post_init__(self):
-        self.index = {w: i for i, w in enumerate(self.words)}
+        self.index = Index((w, i) for i, w in enumerate(self.words))
         own = min(OWN, len(self.words))
         self.classes = np.array([i if i < own else OWN + suffix_class(w) for i, w in enumerate(self.words)], np.int64)
         self.log_count = np.log10(self.counts + 0.5)
@@ -63,7 +70,7 @@ class Vocabulary:
         """Classes of a text's tokens, its words of unknown count, and the known words' summed log10 counts and in-class log10 shares."""
         words = common.byte_words(text)
         words.append(END)
-        at = np.array([self.index.get(w, -1) for w in words], np.int64)
+        at = np.fromiter(map(self.index.__getitem__, words), np.int64, len(words))
         missing = np.flatnonzero(at < 0)
         others = [words[i] for i in missing.tolist()]
         rare = Counter(others)
@@ -98,11 +105,12 @@ class Chain:
         Only every so many steps are scaled, which the numbers of seen must have room for.
         """
         move = self.move.astype(seen.dtype)
+        ones = np.ones(len(self.start), seen.dtype)  # a product with it adds up rows several times as fast as sum does
         ends = np.cumsum(alive).tolist()
         scales = np.ones(len(flat))
         last = np.empty(alive[0])
         two = np.empty((2, alive[0], len(self.start))) if out is None else None
-        before = None
+        before, tiny = None, np.finfo(seen.dtype).tiny
         for t, n in enumerate(alive):
             hi = ends[t]
             lo = hi - n
@@ -110,24 +118,24 @@ class Chain:
             if t:
                 m = len(before)
                 if m > n:
-                    last[n:m] = before[n:].sum(axis=1)
-                np.matmul(before[:n], move, out=state)
+                    last[n:m] = before[n:].dot(ones)
+                np.dot(before[:n], move, out=state)
             else:
                 state[:] = self.start
             state *= seen[lo:hi]
             if t % rescale == rescale - 1:
-                scale = 1.0 / np.maximum(state.sum(axis=1), np.finfo(seen.dtype).tiny)
+                scale = 1.0 / np.maximum(state.dot(ones), tiny)
                 state *= scale[:, None]
                 scales[lo:hi] = scale
             before = state
-        last[: len(before)] = before.sum(axis=1)
+        last[: len(before)] = before.dot(ones)
         return scales, last
 
     def likelihood(self, texts: list[np.ndarray]) -> np.ndarray:
         """log10 probability of every sequence of classes."""
         out = np.zeros(len(texts))
         for order, flat, alive in together(texts):
-            scales, last = self.forward(flat, alive, self.emit[flat], None, RESCALE)
+            scales, last = self.forward(flat, alive, self.emit.take(flat, axis=0), None, RESCALE)
             logs, ends = np.log10(last), np.cumsum(alive).tolist()
             for t in range(RESCALE - 1, len(alive), RESCALE):
                 logs[: alive[t]] -= np.log10(scales[ends[t] - alive[t] : ends[t]])
@@ -138,29 +146,30 @@ class Chain:
         """Add the expected counts of a forward and backward recursion to start, move and emit; the log10 probability of all texts."""
         states, told = len(self.start), 0.0
         # single precision, for which each class's chances are taken by the largest of them
-        turned = np.ascontiguousarray(self.move.T.astype(np.float32))
+        turned, ones = np.ascontiguousarray(self.move.T.astype(np.float32)), np.ones(states, np.float32)
         peak = np.maximum(self.emit.max(axis=1), 1e-300)
         emits = (self.emit / peak[:, None]).astype(np.float32)
         for _, flat, alive in together(texts):
             ends = np.cumsum(alive).tolist()
-            seen = emits[flat]
+            seen = emits.take(flat, axis=0)
             ahead = np.empty((len(flat), states), np.float32)  # forward, then the states' probabilities
             scales, last = self.forward(flat, alive, seen, ahead, RESCALE_SINGLE)
             told += float(np.log10(np.maximum(last, LEAST)).sum() - np.log10(scales).sum() + np.bincount(flat, minlength=len(peak)) @ np.log10(peak))
             back = np.ones((len(flat), states), np.float32)
             for t in range(len(alive) - 2, -1, -1):
                 lo, hi, m = ends[t] - alive[t], ends[t], alive[t + 1]
-                seen[hi : hi + m] *= back[hi : hi + m]  # now with all that follows
-                np.matmul(seen[hi : hi + m], turned, out=back[lo : lo + m])
+                follows, here = seen[hi : hi + m], back[lo : lo + m]
+                follows *= back[hi : hi + m]  # now with all that follows
+                np.dot(follows, turned, out=here)
                 if t % RESCALE_SINGLE == 0:
-                    back[lo : lo + m] /= np.maximum(back[lo : lo + m].sum(axis=1, keepdims=True), LEAST)
+                    here *= (1.0 / np.maximum(here.dot(ones), LEAST))[:, None]
             both = np.maximum(np.einsum("ij,ij->i", ahead, back), LEAST)
             first = alive[0]
             if len(flat) > first:
                 # where the token before each one stands
                 before = np.arange(first, len(flat)) - np.repeat(alive[:-1], alive[1:])
                 seen[first:] *= (scales[first:] / both[first:]).astype(np.float32)[:, None]
-                move += self.move * (ahead[before].T @ seen[first:])
+                move += self.move * (ahead.take(before, axis=0).T @ seen[first:])
             ahead *= back
             ahead /= both[:, None]
             start += ahead[:first].sum(axis=0, dtype=np.float64)

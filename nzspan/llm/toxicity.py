@@ -247,6 +247,13 @@ def training_sample(documents: DataFrame, labels: DataFrame, sample: int = SAMPL
     return out[0], out[1]
 
 
+def fitted(documents: DataFrame, labels: DataFrame) -> Model:
+    """The model of the labelled rows outside the held-out fold; what fitting held is given back, as the driver goes on."""
+    model = fit(*training_sample(documents, labels))
+    common.give_back()
+    return model
+
+
 def score_documents(documents: DataFrame, model: Model) -> DataFrame:
     """(row..., score, predicted) for every row of documents; all its columns stay, the two are new at the end."""
     ship(documents.sparkSession)
@@ -273,6 +280,6 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     labels of both classes all texts get the share of toxic labels. An empty table gives no rows.
     """
     documents = common.table(spark, sf_dir, "documents", "doc_id", "text")
-    model = fit(*training_sample(documents, common.table(spark, sf_dir, "labels", "doc_id", "toxic")))
+    model = fitted(documents, common.table(spark, sf_dir, "labels", "doc_id", "toxic"))
     scored = score_documents(documents, model)
     return scored.select("doc_id", (common.fold_bucket(F.col("doc_id")) == 0).alias("held_out"), "score", "predicted")
